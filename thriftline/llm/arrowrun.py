@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -25,9 +27,7 @@ def fresh(name: str, taken: Iterable[str]) -> str:
 
 def pieces(batch: pa.RecordBatch, column: int, target: int = PIECE_BYTES) -> Iterator[pa.RecordBatch]:
     """Slices of a batch of about ``target`` bytes of one text column; one row at least."""
-    import numpy as np
-
-    lengths = np.cumsum(pa.compute.fill_null(pa.compute.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False))
+    lengths = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False))
     at, done = 0, 0
     while at < batch.num_rows:
         to = max(at + 1, int(np.searchsorted(lengths, done + target, side="right")))
@@ -41,8 +41,6 @@ def annotate(df: DataFrame, make: Callable[[], Callable], fields: list[tuple[str
     ``make()`` is called once a task and returns a function from (text array, *input arrays) to a list of arrays, one for each
     field.  Columns of the input keep their names; a field whose name is taken gets underscores before it (see ``fresh``).
     """
-    import pyarrow.compute  # noqa: F401
-
     ship(df.sparkSession)
     names = df.columns
     kept = [c for c in names if keep_text or c != text]
@@ -53,8 +51,6 @@ def annotate(df: DataFrame, make: Callable[[], Callable], fields: list[tuple[str
     labels = [f.name for f in out.fields]
 
     def run(batches):
-        import pyarrow.compute  # noqa: F401
-
         work = make()
         for batch in batches:
             for piece in pieces(batch, at):

@@ -133,3 +133,15 @@ def unpacked(blocks: DataFrame) -> DataFrame:
 def dictionary(df: DataFrame, column: str) -> DataFrame:
     """(value, code): the distinct values of a column in order, coded from 0; for columns of few values."""
     return df.where(F.col(column).isNotNull()).select(F.col(column).alias("value")).distinct().withColumn("code", (F.row_number().over(W.orderBy("value")) - 1).cast("long"))
+
+
+def dense_ids(df: DataFrame, column: str, parts: int = 256) -> DataFrame:
+    """(value, key): the distinct values of a column with ids from 0 without gaps, for columns of any number of values.
+
+    Values are numbered within hash parts, and parts start where the one before ends, so no task sees all of them.
+    """
+    values = df.where(F.col(column).isNotNull()).select(F.col(column).alias("value")).distinct().withColumn("_part", F.pmod(F.xxhash64("value"), F.lit(parts)))
+    sizes = values.groupBy("_part").agg(F.count("*").alias("_n"))
+    before = sizes.select("_part", F.coalesce(F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    own = F.row_number().over(W.partitionBy("_part").orderBy("value")) - 1
+    return values.join(F.broadcast(before), "_part").select("value", (F.col("_before") + own).cast("long").alias("key"))

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from thriftline.plans import workloads
+from thriftline.plans import methods, workloads
 
-_MODULES = [workloads]
+_MODULES = [workloads, methods]
 
 QUERIES: dict = {k: v for m in _MODULES for k, v in m.QUERIES.items()}
 ORACLES: dict = {k: v for m in _MODULES for k, v in m.ORACLES.items()}

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from thriftline.llm import decontaminate, html_extract, language_id, near_dedup, packing, quality_classifier, quality_rules, sharding, substring_dedup, tokens
+from thriftline.llm import decontaminate, html_extract, language_id, near_dedup, oracles, packing, quality_classifier, quality_rules, sharding, substring_dedup, tokens
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -75,4 +75,9 @@ QUERIES = {
     "op10_decontaminate": op10_decontaminate,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "op1_near_dedup": oracles.NEAR_DEDUP,
+    "op2_substring_dedup": oracles.SUBSTRING,
+    "op7_quality_rules": oracles.QUALITY_RULES,
+    "op10_decontaminate": oracles.DECONTAMINATE,
+}

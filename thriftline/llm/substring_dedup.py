@@ -24,9 +24,9 @@ from thriftline.shipping import ship
 
 MER = 4
 #: Text bytes worked on at once, and held before blocks are sent.
-PIECE, BATCH = 3 << 20, 16 << 20
+PIECE, BATCH = 3 << 20, 12 << 20
 #: Bytes of text (before compression) of a bucket and of a part.
-BUCKET_BYTES = 24 << 20
+BUCKET_BYTES = 12 << 20
 #: A minimiser is hot if it has more super-k-mers than this and than this share of all.
 HOT_LEAST, HOT_SHARE = 2048, 65536
 _SECOND = np.uint64(0xA0761D6478BD642F)
@@ -220,7 +220,7 @@ def _send(window: int, mer: int, hot, buckets: int):
                 go = np.flatnonzero(travels)
                 starts = spans.starts[first[go]]
                 sender.add(bucket[go], (owner[go], begin[go].astype(np.int32)), spans.raw, starts, spans.ends[last[go] + window - 1] - starts)
-                if sender.size >= 3 * BATCH:
+                if sender.size >= 2 * BATCH:
                     yield from flush()
         yield from flush()
 

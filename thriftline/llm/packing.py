@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from thriftline.llm.arrowrun import columns_of, pieces
-from thriftline.llm.tokens import Encoder
+from thriftline.llm.tokens import encoder_for
 from thriftline.shipping import ship
 
 #: A task's pool in sequences: from the first it packs, down to the second.
@@ -152,7 +152,7 @@ def pack_documents(docs: DataFrame, path: str, end_id: int = 2, tokens: int = 40
         from pyspark.sql.pandas.types import to_arrow_type
 
         kind = to_arrow_type(id_type)
-        encoder, packer = Encoder(path, drop_space, with_ids=True), Packer(tokens, segments, limit)
+        encoder, packer = encoder_for(path, drop_space, with_ids=True), Packer(tokens, segments, limit)
         number = TaskContext.get().partitionId() << 36
         out: list[list] = [[] for _ in range(7)]
         held = 0

@@ -1,12 +1,13 @@
 """Batch encoding of whole texts: token counts, and the token ids that packing needs.
 
 Texts are split at safe boundaries: places that no token of the tokenizer can span, whatever stands around them.  Equal pieces
-of a batch are encoded once, and each task keeps the pieces it has met, by a 64-bit hash of their bytes, up to ``KEPT`` of
+of a batch are encoded once, and each Python worker keeps the pieces it has met, by a 64-bit hash of their bytes, up to ``KEPT`` of
 them.  Batches for the library are balanced by bytes, not by rows.  Texts that hold a special string are encoded whole.
 """
 
 from __future__ import annotations
 
+import itertools
 import os
 
 import numpy as np
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 from thriftline.llm import textscan as ts
 from thriftline.llm.arrowrun import annotate, columns_of
 
-#: Pieces that a task remembers; then it starts anew.
+#: Pieces that a worker remembers; then it starts anew.
 KEPT = 1 << 21
 #: Bytes of distinct pieces handed to the library at once.
 CALL_BYTES = 1 << 18
@@ -45,8 +46,19 @@ def _pairs(*pairs: tuple[int, int]) -> bytes:
 #: Cuts between a byte of the first kind and one of the second.  White space belongs to what follows; letters end before a
 #: sign, and signs but the apostrophe (contractions) end before a letter.
 CUTS = _pairs((_LETTER, _SPACE), (_OTHER, _SPACE), (_QUOTE, _SPACE), (_LETTER, _OTHER), (_LETTER, _QUOTE), (_OTHER, _LETTER))
-#: The same for a tokenizer that drops white space: words stay whole.
-WORD_CUTS = _pairs((_LETTER, _SPACE), (_OTHER, _SPACE), (_QUOTE, _SPACE))
+_UPPER = ts.table(range(0x41, 0x5B))
+
+
+_encoders: dict[tuple, Encoder] = {}
+
+
+def encoder_for(path: str, drop_space: bool, with_ids: bool) -> Encoder:
+    """The encoder of this Python worker, which the tasks it runs share with all pieces they have met."""
+    key = (path, drop_space, with_ids)
+    if key not in _encoders:
+        _encoders.clear()
+        _encoders[key] = Encoder(*key)
+    return _encoders[key]
 
 
 class Encoder:
@@ -69,6 +81,14 @@ class Encoder:
         self.places = np.zeros(0, np.int64)
         self.ids = np.zeros(0, np.uint32)
 
+    def folded(self, raw: np.ndarray) -> np.ndarray:
+        """A-Z in lower case where the tokenizer does that anyway: not before a byte outside ASCII, which may be a combining mark."""
+        if not self.drop_space or not len(raw):
+            return raw
+        upper = ts.translated(raw, _UPPER).copy()
+        upper[:-1] &= (raw[1:] < 0x80).view(np.uint8)
+        return raw + (upper << 5)
+
     def whole(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
 
@@ -79,7 +99,7 @@ class Encoder:
         pairs = (kinds[:-1] << 3) + kinds[1:]
         flags = np.zeros(n + 1, np.uint8)
         if n:
-            flags[1:n] = np.frombuffer(pairs.tobytes().translate(WORD_CUTS if self.drop_space else CUTS), np.uint8)
+            flags[1:n] = np.frombuffer(pairs.tobytes().translate(CUTS), np.uint8)
             flags[offs] = 1
         edges = np.flatnonzero(flags)
         starts, ends = edges[:-1], edges[1:]
@@ -111,7 +131,7 @@ class Encoder:
             if self.with_ids:
                 own = [e.ids for e in found]
                 sizes.extend(map(len, own))
-                ids.extend(x for y in own for x in y)
+                ids.extend(itertools.chain.from_iterable(own))
             else:
                 sizes.extend(map(len, found))
         sizes = np.array(sizes, np.int32)
@@ -134,7 +154,7 @@ class Encoder:
             if not len(body):
                 continue
             starts, ends, first = self.cut(body, own)
-            at = self.look_up(body, starts, ends)
+            at = self.look_up(self.folded(body), starts, ends)
             sizes = np.concatenate(([0], np.cumsum(self.sizes[at], dtype=np.int64)))
             out[i:j] = sizes[first[1:]] - sizes[first[:-1]]
             for r in self.odd(body, own):
@@ -151,7 +171,7 @@ class Encoder:
                 yield i, j, np.zeros(0, np.uint32), np.zeros(j - i + 1, np.int64)
                 continue
             starts, ends, first = self.cut(body, own)
-            at = self.look_up(body, starts, ends)
+            at = self.look_up(self.folded(body), starts, ends)
             sizes = self.sizes[at]
             flat = self.ids[ts.ranges(self.places[at], sizes)]
             begin = np.concatenate(([0], np.cumsum(sizes, dtype=np.int64)))[first]
@@ -173,12 +193,12 @@ class Encoder:
 def token_counts(docs: DataFrame, path: str, limit: int = 512, drop_space: bool = False) -> DataFrame:
     """doc_id, n_bytes, n_tokens and over_limit for each row of ``docs`` (doc_id, text), by the tokenizer file at ``path``.
 
-    ``drop_space`` is for tokenizers that drop white space.  Null and empty texts have no bytes and no tokens; repeated rows and
+    ``drop_space`` is for tokenizers that drop white space and lower-case.  Null and empty texts have no bytes and no tokens; repeated rows and
     null doc_ids are rows like others.  No rows in, no rows out.
     """
 
     def make():
-        encoder = Encoder(path, drop_space, with_ids=False)
+        encoder = encoder_for(path, drop_space, with_ids=False)
 
         def work(texts: pa.Array):
             return [pa.array(encoder.counts(texts))]

@@ -26,13 +26,13 @@ SLOT_ROWS = 50_000
 
 
 class Ranges:
-    """Ordered key ranges (low, high, bytes, single) that cover all groups; ``single`` ones hold one group."""
+    """Ordered key ranges (low, high, bytes, single, first key) that cover all groups; ``single`` ones hold one group."""
 
-    def __init__(self, ranges: list[tuple[int, int, int, bool]]):
+    def __init__(self, ranges: list[tuple[int, int, int, bool, int]]):
         self.ranges = sorted(ranges)
         self.ends = []
         total = 0
-        for _, _, size, _ in self.ranges:
+        for _, _, size, _, _ in self.ranges:
             total += size
             self.ends.append(total)
         self.total = total
@@ -87,7 +87,7 @@ class Ranges:
 def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], int]:
     """The first keys of shards 1, 2, ... and the capacity, for rows (key, size) whose equal keys are one group."""
     width = 1 << KEY_BITS
-    found: list[tuple[int, int, int, bool]] = []
+    found: list[tuple[int, int, int, bool, int]] = []
     todo: list[tuple[int, int]] = [(0, width)]
     while True:
         span = todo[0][1] - todo[0][0]
@@ -95,7 +95,7 @@ def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], int]:
         step = max(1, span >> FAN_BITS)
         part = F.shiftright("key", step.bit_length() - 1)
         sums = inside.groupBy(part.alias("part")).agg(F.sum("size").alias("size"), F.min("key").alias("a"), F.max("key").alias("b")).collect()
-        found += [(r["part"] * step, (r["part"] + 1) * step, r["size"], r["a"] == r["b"]) for r in sums]
+        found += [(r["part"] * step, (r["part"] + 1) * step, r["size"], r["a"] == r["b"], r["a"]) for r in sums]
         ranges = Ranges(found)
         if not ranges.ranges:
             return [], 0
@@ -114,7 +114,7 @@ def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], int]:
         if high >= ranges.total:
             break
         at = bisect.bisect_right(ranges.ends, high)
-        firsts.append(ranges.ranges[at][0])
+        firsts.append(ranges.ranges[at][4])
     return firsts, capacity
 
 

@@ -41,3 +41,9 @@ def allreduce(df: DataFrame, operator: Column, name: str) -> DataFrame:
 def handover(df: DataFrame, key: str, shards: int) -> DataFrame:
     """Processing state moves to the owner of its key, which goes on from there."""
     return df.repartition(shards, F.col(key))
+
+
+def request(keys: DataFrame, key: str, remote: DataFrame, pk: str, columns: list[str]) -> DataFrame:
+    """Request and response: attributes of the remote rows whose keys are asked for, each once."""
+    wanted = keys.where(F.col(key).isNotNull()).select(F.col(key).alias("_wanted")).distinct()
+    return remote.select(F.col(pk).alias(key), *columns).join(wanted, F.col(key) == F.col("_wanted"), "left_semi")

@@ -145,3 +145,16 @@ def dense_ids(df: DataFrame, column: str, parts: int = 256) -> DataFrame:
     before = sizes.select("_part", F.coalesce(F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
     own = F.row_number().over(W.partitionBy("_part").orderBy("value")) - 1
     return values.join(F.broadcast(before), "_part").select("value", (F.col("_before") + own).cast("long").alias("key"))
+
+
+def block(data: bytes, codec: str = "lz4") -> bytes:
+    """Dictionary compression for bytes in no order; Spark's shuffle does the same to its own blocks."""
+    import pyarrow as pa
+
+    return len(data).to_bytes(8, "little") + pa.compress(data, codec=codec, asbytes=True)
+
+
+def unblock(data: bytes, codec: str = "lz4") -> bytes:
+    import pyarrow as pa
+
+    return pa.decompress(data[8:], decompressed_size=int.from_bytes(data[:8], "little"), codec=codec, asbytes=True)

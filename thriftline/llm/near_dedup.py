@@ -28,8 +28,8 @@ from thriftline.llm.arrowrun import annotate, columns_of
 from thriftline.shipping import durable, ship, written
 
 SLOTS, CHUNKS, ERRORS, SLOT_BYTES = 32, 8, 1, 2
-#: Members of a block under one pivot; a larger group is compared block against block.
-BLOCK = 256
+#: Members of a block under one pivot, and their shingles, about; a larger group is compared block against block.
+BLOCK, BLOCK_SHINGLES = 256, 1 << 19
 _gen = np.random.Generator(np.random.PCG64(971))
 _SCALE = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _SHIFT = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64)
@@ -226,12 +226,13 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, percent: int = 85) -> Dat
     docs = columns_of(docs, "doc_id", "text")
     rows = written(annotate(docs, lambda: _described(shingle), [("n_shingles", "long"), ("set_id", "binary"), ("keys", "array<bigint>")], keep_text=False))
     ided = rows.where("doc_id is not null and set_id is not null")
-    classes = ided.groupBy("set_id").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys"))
+    classes = ided.groupBy("set_id").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys"), F.min("n_shingles").alias("size"))
     classes = written(classes)
     keyed = classes.select("id", F.explode("keys").alias("key"))
     shared = keyed.groupBy("key").agg(F.min("id").alias("pivot"), F.count("*").alias("n")).where("n > 1").select("key", "pivot")
     members = durable(keyed.join(shared, "key").select("pivot", "id").distinct())
-    groups = members.groupBy("pivot").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks"))
+    sized = members.join(classes.select("id", "size"), "id")
+    groups = sized.groupBy("pivot").agg(F.greatest(F.ceil(F.count("*") / F.lit(BLOCK)), F.ceil(F.sum("size") / F.lit(BLOCK_SHINGLES))).cast("int").alias("blocks"))
     placed = (
         members.join(groups, "pivot")
         .withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))

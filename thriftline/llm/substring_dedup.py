@@ -27,6 +27,8 @@ MER = 4
 PIECE, BATCH = 3 << 20, 12 << 20
 #: Bytes of text (before compression) of a bucket and of a part.
 BUCKET_BYTES = 12 << 20
+#: Partitions of an exchange at most; beyond it a task works on several buckets, one after another.
+PARTITIONS = 50_000
 #: A minimiser is hot if it has more super-k-mers than this and than this share of all.
 HOT_LEAST, HOT_SHARE = 2048, 65536
 _SECOND = np.uint64(0xA0761D6478BD642F)
@@ -392,6 +394,12 @@ def _kept(id_at: int, text_at: int, kept_at: list[int], names: list[str]):
     return run
 
 
+def _dealt(blocks: DataFrame, buckets: int) -> DataFrame:
+    """Blocks by the number of their bucket itself, so that no two buckets meet in a partition by chance."""
+    n = min(buckets, PARTITIONS)
+    return blocks.repartitionById(n, F.pmod("bucket", F.lit(n)).cast("int"))
+
+
 def cleaned(docs: DataFrame, window: int = 20, mer: int = MER) -> tuple[DataFrame, tuple[str, str, str]]:
     """All columns of ``docs`` and three more: kept text, words and removed words; and the names of the three.
 
@@ -409,12 +417,12 @@ def cleaned(docs: DataFrame, window: int = 20, mer: int = MER) -> tuple[DataFram
     hot = spark.sparkContext.broadcast(hot)
     buckets, parts = 1 + packed // BUCKET_BYTES, 1 + total // BUCKET_BYTES
     sent = known.mapInArrow(_send(window, mer, hot, buckets), "bucket long, kind int, block binary")
-    met = sent.repartition(buckets, "bucket").sortWithinPartitions("bucket")
+    met = _dealt(sent, buckets).sortWithinPartitions("bucket")
     runs = met.mapInArrow(_repeats(window, parts), "bucket long, kind int, block binary")
     names = docs.columns
     id_at, text_at = names.index("doc_id"), names.index("text")
     rows = docs.mapInArrow(_row_blocks(parts, id_at, text_at), "bucket long, kind int, block binary")
-    together = runs.unionAll(rows).repartition(parts, "bucket").sortWithinPartitions("bucket", "kind")
+    together = _dealt(runs.unionAll(rows), parts).sortWithinPartitions("bucket", "kind")
     schema, added = T.StructType(list(docs.schema.fields)), []
     for field, kind in (("kept_text", T.StringType()), ("n_words", T.LongType()), ("n_removed", T.LongType())):
         added.append(fresh(field, names + added))

@@ -148,6 +148,14 @@ def test_cuts_do_not_depend_on_the_fan(spark, monkeypatch):
     assert sharding.contiguous_cuts(rows, 7) == wide
 
 
+def test_a_hot_group_leaves_the_others_even(spark):
+    rng = random.Random(11)
+    rows = [(i, "copy " * 20) for i in range(900)] + [(1000 + i, f"own {i} " * rng.randint(1, 5)) for i in range(2000)]
+    got = sharding.shard_documents(spark.createDataFrame(rows, "doc_id long, text string"), 6).groupBy("shard").sum("size").collect()
+    sizes = sorted(r["sum(size)"] for r in got)
+    assert len(sizes) == 6 and sizes[-1] == 900 * 108 and sizes[-2] <= 1.01 * sizes[0]
+
+
 def test_sharding_of_odd_tables(nothing, nameless):
     assert sharding.shard_documents(nothing).count() == 0
     rows = sharding.shard_documents(nameless, 3).collect()

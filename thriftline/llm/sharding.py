@@ -1,6 +1,7 @@
 """Shards of nearly equal bytes by minimax contiguous partition, with DataFrame functions only.
 
-Equal texts form an atomic group.  Groups are ordered by a 60-bit key of their text.  The smallest capacity is sought for which
+Equal texts form an atomic group.  A group larger than an equal part comes first and has a shard of its own, so that it does not set the
+capacity of the others.  The other groups are ordered by a 60-bit key of their text.  The smallest capacity is sought for which
 greedy filling, in that order, needs no more shards than wanted; the cuts of that filling bound the shards.
 
 Sizes are never gathered: sums over ``FAN`` ranges of the key come first, and only ranges in which a cut can still fall are split
@@ -84,8 +85,22 @@ class Ranges:
         return sorted(out)
 
 
-def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], int]:
-    """The first keys of shards 1, 2, ... and the capacity, for rows (key, size) whose equal keys are one group."""
+def _oversized(ranges: list, shards: int) -> tuple[list[int], list[int]]:
+    """The single groups larger than an equal part of what is left without them, and the ranges that may still hide one."""
+    left, held = sum(r[2] for r in ranges), []
+    while shards - len(held) > 1:
+        more = [i for i, r in enumerate(ranges) if r[3] and i not in held and r[2] * (shards - len(held)) > left][: shards - 1 - len(held)]
+        if not more:
+            break
+        held += more
+        left -= sum(ranges[i][2] for i in more)
+    return held, [i for i, r in enumerate(ranges) if not r[3] and r[2] * (shards - len(held)) > left]
+
+
+def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], list[int], int]:
+    """For rows (key, size) whose equal keys are one group: the keys of groups with a shard of their own, the first keys of the second and
+    later shards of the others, and the capacity of these.
+    """
     width = 1 << KEY_BITS
     found: list[tuple[int, int, int, bool, int]] = []
     todo: list[tuple[int, int]] = [(0, width)]
@@ -96,26 +111,28 @@ def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], int]:
         part = F.shiftright("key", step.bit_length() - 1)
         sums = inside.groupBy(part.alias("part")).agg(F.sum("size").alias("size"), F.min("key").alias("a"), F.max("key").alias("b")).collect()
         found += [(r["part"] * step, (r["part"] + 1) * step, r["size"], r["a"] == r["b"], r["a"]) for r in sums]
-        ranges = Ranges(found)
-        if not ranges.ranges:
-            return [], 0
-        split = ranges.open(shards)
+        found.sort()
+        alone, hidden = _oversized(found, shards)
+        rest = [i for i in range(len(found)) if i not in set(alone)]
+        ranges, left = Ranges([found[i] for i in rest]), shards - len(alone)
+        split = sorted({*hidden, *(rest[i] for i in ranges.open(left))}) if rest else hidden
         if not split:
             break
-        todo = [(ranges.ranges[i][0], ranges.ranges[i][1]) for i in split]
         # Ranges of one width are split at a time, the widest first.
-        widest = max(b - a for a, b in todo)
-        todo = [(a, b) for a, b in todo if b - a == widest]
-        gone = set(todo)
-        found = [r for r in ranges.ranges if (r[0], r[1]) not in gone]
-    capacity = ranges.search(shards)[1]
-    firsts, at = [], 0
-    for _, high in ranges.fill(capacity, shards)[2]:
+        widest = max(found[i][1] - found[i][0] for i in split)
+        gone = {i for i in split if found[i][1] - found[i][0] == widest}
+        todo = [(found[i][0], found[i][1]) for i in sorted(gone)]
+        found = [r for i, r in enumerate(found) if i not in gone]
+    keys = [found[i][4] for i in sorted(alone)]
+    if not rest:
+        return keys, [], 0
+    capacity = ranges.search(left)[1]
+    firsts = []
+    for _, high in ranges.fill(capacity, left)[2]:
         if high >= ranges.total:
             break
-        at = bisect.bisect_right(ranges.ends, high)
-        firsts.append(ranges.ranges[at][4])
-    return firsts, capacity
+        firsts.append(ranges.ranges[bisect.bisect_right(ranges.ends, high)][4])
+    return keys, firsts, capacity
 
 
 def shard_documents(docs: DataFrame, shards: int = 24) -> DataFrame:
@@ -129,10 +146,12 @@ def shard_documents(docs: DataFrame, shards: int = 24) -> DataFrame:
     # 60 bits of the digest; the marker keeps null apart from empty.
     key = F.conv(F.substring(F.md5(F.concat(F.when(F.col("text").isNull(), "0").otherwise("1"), text).cast("binary")), 1, 15), 16, 10).cast("long")
     narrow = durable(docs.select(F.col("doc_id"), key.alias("key"), (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32")))
-    firsts, _ = contiguous_cuts(narrow.select("key", "size"), shards)
-    shard = F.lit(0)
+    alone, firsts, _ = contiguous_cuts(narrow.select("key", "size"), shards)
+    shard = F.lit(len(alone))
     for first in firsts:
         shard = shard + F.when(F.col("key") >= first, 1).otherwise(0)
+    for n, own in enumerate(alone):
+        shard = F.when(F.col("key") == own, n).otherwise(shard)
     rows = narrow.count()
     subs = max(1, -(-rows // SLOT_ROWS))
     dealt = narrow.withColumn("shard", shard.cast("int")).withColumn("sub", F.pmod(F.xxhash64("doc_id", "key"), F.lit(subs)))

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import annotate, columns_of, fresh
+from thriftline.llm.arrowrun import annotate, columns_of, fresh, give_back
 from thriftline.shipping import ship
 
 WINDOW, SHINGLE = 10, 3
@@ -119,6 +119,7 @@ def shingle_counts(docs: DataFrame, tokens: dict[int, np.ndarray]) -> dict[tuple
         for w, (t, _) in held.items():
             seen = np.flatnonzero(sums[w])
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(seen), w)), pa.array(t[seen].view(np.int64)), pa.array(sums[w][seen])], names=["width", "token", "n"])
+        give_back()
 
     partial = columns_of(docs, "text").mapInArrow(run, "width long, token long, n long")
     rows = partial.groupBy("width", "token").agg(F.sum("n").alias("n")).collect()

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import annotate, fresh
+from thriftline.llm.arrowrun import annotate, fresh, give_back
 from thriftline.shipping import ship
 
 BITS, DIMENSIONS = 6, 1024
@@ -89,6 +89,7 @@ def ngram_counts(training: DataFrame) -> dict[str, np.ndarray]:
                         sums[lang] = np.zeros(size, np.int64)
                     sums[lang] += np.bincount(mine, minlength=size)
         yield from flush()
+        give_back()
 
     partial = training.mapInArrow(run, "lang string, gram long, n long")
     out: dict[str, np.ndarray] = {}

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import annotate, columns_of
+from thriftline.llm.arrowrun import annotate, columns_of, give_back
 from thriftline.shipping import durable, ship, written
 
 SLOTS, CHUNKS, ERRORS, SLOT_BYTES = 32, 8, 1, 2
@@ -189,6 +189,8 @@ def _links(percent: int, shingle: int):
         done = flush()
         if done is not None:
             yield done
+        held.clear()
+        give_back()
 
     return run
 

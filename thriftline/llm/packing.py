@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from thriftline.llm.arrowrun import columns_of, pieces
+from thriftline.llm.arrowrun import columns_of, give_back, pieces
 from thriftline.llm.tokens import encoder_for
 from thriftline.shipping import ship
 
@@ -190,6 +190,8 @@ def pack_documents(docs: DataFrame, path: str, end_id: int = 2, tokens: int = 40
             put(sequence)
         if out[0]:
             yield batch()
+        del packer
+        give_back()
 
     return rows.mapInArrow(run, schema)
 

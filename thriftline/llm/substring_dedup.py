@@ -19,12 +19,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import fresh, pieces
+from thriftline.llm.arrowrun import fresh, give_back, pieces
 from thriftline.shipping import ship
 
 MER = 4
 #: Text bytes worked on at once, and held before blocks are sent.
-PIECE, BATCH = 3 << 20, 12 << 20
+PIECE, BATCH = 3 << 20, 8 << 20
 #: Bytes of text (before compression) of a bucket and of a part.
 BUCKET_BYTES = 12 << 20
 #: Partitions of an exchange at most; beyond it a task works on several buckets, one after another.
@@ -225,6 +225,7 @@ def _send(window: int, mer: int, hot, buckets: int):
                 if sender.size >= 2 * BATCH:
                     yield from flush()
         yield from flush()
+        give_back()
 
     return run
 
@@ -308,7 +309,9 @@ def _repeats(window: int, parts: int):
                     size = 0
         if held and (found := settle(held)):
             runs.append(found)
+        held = []
         yield from flush()
+        give_back()
 
     return run
 
@@ -332,6 +335,7 @@ def _row_blocks(parts: int, id_at: int, text_at: int):
                     rows.append((int(part[order[a]]), 1, sink.getvalue().to_pybytes()))
                 for at in range(0, len(rows), 64):
                     yield _batch(rows[at : at + 64])
+        give_back()
 
     return run
 
@@ -358,6 +362,7 @@ def _kept(id_at: int, text_at: int, kept_at: list[int], names: list[str]):
                         texts, counts, removed = _cleaned(piece.column(id_at), piece.column(text_at), table)
                         columns = [piece.column(i) for i in kept_at]
                         yield pa.RecordBatch.from_arrays([*columns, texts, counts, removed], names=names)
+        give_back()
 
     def _cleaned(ids, column, table):
         raw, offs, _ = ts.text_buffers(column)

@@ -19,7 +19,7 @@ from thriftline.llm import textscan as ts
 from thriftline.llm.arrowrun import annotate, columns_of
 
 #: Pieces that a worker remembers; then it starts anew.
-KEPT = 1 << 21
+KEPT = 1 << 20
 #: Bytes of distinct pieces handed to the library at once.
 CALL_BYTES = 1 << 18
 
@@ -78,7 +78,7 @@ class Encoder:
     def forget(self) -> None:
         self.keys = np.zeros(0, np.uint64)
         self.sizes = np.zeros(0, np.int32)
-        self.places = np.zeros(0, np.int64)
+        self.places = np.zeros(0, np.int32)
         self.ids = np.zeros(0, np.uint32)
 
     def folded(self, raw: np.ndarray) -> np.ndarray:
@@ -135,13 +135,13 @@ class Encoder:
             else:
                 sizes.extend(map(len, found))
         sizes = np.array(sizes, np.int32)
-        places = len(self.ids) + np.cumsum(sizes) - sizes
-        keys = np.concatenate((self.keys, keys))
-        order = np.argsort(keys, kind="stable")
-        self.keys = keys[order]
-        self.sizes = np.concatenate((self.sizes, sizes))[order]
+        places = (len(self.ids) + np.cumsum(sizes) - sizes).astype(np.int32)
+        # Both key arrays are in order, so the new ones go in between.
+        at = np.searchsorted(self.keys, keys)
+        self.keys = np.insert(self.keys, at, keys)
+        self.sizes = np.insert(self.sizes, at, sizes)
         if self.with_ids:
-            self.places = np.concatenate((self.places, places))[order]
+            self.places = np.insert(self.places, at, places)
             self.ids = np.concatenate((self.ids, np.array(ids, np.uint32)))
 
     def counts(self, texts: pa.Array) -> np.ndarray:

@@ -148,6 +148,16 @@ def join_interval(spark, sf_dir):
     return relational.interval(events.select("ts"), "ts", spans, "start_ts", "stop_ts", 600).groupBy("span_id").agg(_n())
 
 
+_ALL_SPANS = "(SELECT ts AS start_ts, ts + INTERVAL 600 SECOND AS stop_ts, event_id AS span_id FROM events WHERE event_type = 'error')"
+
+
+@query("join_interval_all", f"SELECT span_id, {_N} FROM events JOIN {_ALL_SPANS} ON ts >= start_ts AND ts < stop_ts GROUP BY 1")
+def join_interval_all(spark, sf_dir):
+    events = load(spark, sf_dir, "events")
+    spans = events.where("event_type = 'error'").select(F.col("ts").alias("start_ts"), (F.col("ts") + F.expr("interval 600 seconds")).alias("stop_ts"), F.col("event_id").alias("span_id"))
+    return relational.interval(events.select("ts"), "ts", spans, "start_ts", "stop_ts", 600).groupBy("span_id").agg(_n())
+
+
 @query("join_asof", """SELECT event_id, user_id, (SELECT max(v.event_id) FROM events v WHERE v.user_id = e.user_id AND v.event_type = 'view' AND v.ts <= e.ts) AS view_id FROM events e WHERE event_type = 'purchase'""")
 def join_asof(spark, sf_dir):
     events = load(spark, sf_dir, "events")

@@ -10,3 +10,19 @@ def test_interval_join_takes_every_error_as_a_span(spark, sf):
     errors = [(i, t) for i, t, kind in events if kind == "error"]
     expected = {i: sum(t <= u < t + datetime.timedelta(seconds=600) for _, u, _ in events) for i, t in errors}
     assert {r["span_id"]: r["n"] for r in surface.QUERIES["join_interval_all"](spark, sf).collect()} == expected
+
+
+def test_joins_and_sets_read_whole_tables(spark, sf):
+    from thriftline.plans import surface
+
+    rows = lambda name: [tuple(r) for r in surface.QUERIES[name](spark, sf).collect()]
+    docs = {r["doc_id"] for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id").collect()}
+    labels = {r["doc_id"] for r in spark.read.parquet(f"{sf}/labels.parquet").select("doc_id").collect()}
+    expected = {"inner": docs & labels, "left": docs, "right": labels, "full": docs | labels, "semi": docs & labels, "anti": docs - labels}
+    for how, ids in expected.items():
+        assert {r[0] for r in rows(f"join_{how}_whole")} == ids
+    orders = [(r["o_custkey"], r["o_orderstatus"]) for r in spark.read.parquet(f"{sf}/orders.parquet").collect()]
+    f, o = ({k for k, status in orders if status == wanted} for wanted in "FO")
+    assert f & o and f - o
+    for name, keys in {"union": f | o, "union_all": f | o, "intersect": f & o, "intersect_all": f & o, "except": f - o}.items():
+        assert {r[0] for r in rows(f"set_{name}_status")} == keys

@@ -118,6 +118,20 @@ _join("semi", "left_semi", f"SELECT doc_id, lang FROM {_D} WHERE doc_id IN (SELE
 _join("anti", "left_anti", f"SELECT doc_id, lang FROM {_D} WHERE doc_id NOT IN (SELECT doc_id FROM {_L})")
 
 
+def _whole_join(name: str, how: str, sql: str):
+    @query(f"join_{name}_whole", sql)
+    def join(spark, sf_dir):
+        return load(spark, sf_dir, "documents").select("doc_id", "lang").join(load(spark, sf_dir, "labels"), "doc_id", how)
+
+
+_whole_join("inner", "inner", "SELECT doc_id, lang, quality, toxic FROM documents JOIN labels USING (doc_id)")
+_whole_join("left", "left", "SELECT doc_id, lang, quality, toxic FROM documents LEFT JOIN labels USING (doc_id)")
+_whole_join("right", "right", "SELECT doc_id, lang, quality, toxic FROM documents RIGHT JOIN labels USING (doc_id)")
+_whole_join("full", "full", "SELECT doc_id, lang, quality, toxic FROM documents FULL JOIN labels USING (doc_id)")
+_whole_join("semi", "left_semi", "SELECT doc_id, lang FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")
+_whole_join("anti", "left_anti", "SELECT doc_id, lang FROM documents d WHERE NOT EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id)")
+
+
 def _hinted(name: str, hint: str):
     @query(f"join_{name}", f"SELECT c_mktsegment, {_N} FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
     def join(spark, sf_dir):
@@ -247,6 +261,21 @@ _set("except", f"{_S[0]} EXCEPT {_S[1]}", lambda a, b: a.subtract(b))
 _set("except_all", f"{_S[0]} EXCEPT ALL {_S[1]}", lambda a, b: a.exceptAll(b))
 
 
+def _status_set(name: str, sql: str, f):
+    @query(f"set_{name}_status", sql)
+    def run(spark, sf_dir):
+        return f(*(load(spark, sf_dir, "orders").where(F.col("o_orderstatus") == status).select(F.col("o_custkey").alias("k")) for status in ("F", "O")))
+
+
+_T = ("SELECT o_custkey AS k FROM orders WHERE o_orderstatus = 'F'", "SELECT o_custkey AS k FROM orders WHERE o_orderstatus = 'O'")
+_status_set("union", f"{_T[0]} UNION {_T[1]}", lambda a, b: a.union(b).distinct())
+_status_set("union_all", f"SELECT k, {_N} FROM ({_T[0]} UNION ALL {_T[1]}) GROUP BY 1", lambda a, b: a.unionAll(b).groupBy("k").agg(_n()))
+_status_set("intersect", f"{_T[0]} INTERSECT {_T[1]}", lambda a, b: a.intersect(b))
+_status_set("intersect_all", f"{_T[0]} INTERSECT ALL {_T[1]}", lambda a, b: a.intersectAll(b))
+_status_set("except", f"{_T[0]} EXCEPT {_T[1]}", lambda a, b: a.subtract(b))
+_status_set("except_all", f"{_T[0]} EXCEPT ALL {_T[1]}", lambda a, b: a.exceptAll(b))
+
+
 @query("sub_scalar", "SELECT s_suppkey FROM supplier WHERE s_acctbal > (SELECT quantile_cont(s_acctbal, 0.9) FROM supplier)")
 def sub_scalar(spark, sf_dir):
     suppliers = load(spark, sf_dir, "supplier")

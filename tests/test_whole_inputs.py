@@ -26,3 +26,19 @@ def test_joins_and_sets_read_whole_tables(spark, sf):
     assert f & o and f - o
     for name, keys in {"union": f | o, "union_all": f | o, "intersect": f & o, "intersect_all": f & o, "except": f - o}.items():
         assert {r[0] for r in rows(f"set_{name}_status")} == keys
+
+
+def test_scheduled_exchange_deals_pairs_round_by_round(spark, sf):
+    from pyspark.sql import functions as F
+
+    from thriftline.operators import collectives, pairing
+    from thriftline.operators.placement import key_shard
+    from thriftline.plans import workloads
+
+    owned = workloads.quarter_partials(spark, sf).withColumn("owner", key_shard("key", 8))
+    rounds = [r.select("shard", "owner", "key", "val").collect() for r in collectives.exchange_rounds(owned, "shard", "owner", 8)]
+    assert len(rounds) == 8
+    for step, rows in enumerate(rounds):
+        assert rows and all(r["owner"] == pairing.partner(step, r["shard"], 8) for r in rows)
+    dealt = sorted(tuple(r) for rows in rounds for r in rows)
+    assert dealt == sorted(tuple(r) for r in owned.select("shard", "owner", "key", F.col("val")).collect())

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from thriftline.operators import pairing
+from thriftline.shipping import written
+
 
 def gather(df: DataFrame) -> DataFrame:
     """All rows in one task; for results of bounded size."""
@@ -28,6 +31,19 @@ def exchange(df: DataFrame, owner: str, shards: int) -> DataFrame:
     return df.repartitionById(shards, F.col(owner).cast("int"))
 
 
+def exchange_rounds(df: DataFrame, source: str, owner: str, shards: int) -> list[DataFrame]:
+    """The same by the 1-factor schedule: what every source sends to its partner of a round, one table a round.
+
+    Each round ends, its rows written in the shared folder, before the next begins; so no two pairs of a shard are under way at once.
+    """
+    rows, out = written(df), []
+    for step in range(shards):
+        meets = F.array(*[F.lit(pairing.partner(step, u, shards)) for u in range(shards)])
+        sent = rows.where(F.col(owner) == F.get(meets, F.col(source).cast("int")))
+        out.append(written(exchange(sent, owner, shards)))
+    return out
+
+
 def reduce(df: DataFrame, *operators: Column) -> DataFrame:
     """One row combined from all; partial results are combined in each task first."""
     return df.agg(*operators)

@@ -2,16 +2,15 @@
 
 Markup is stripped to one line for each block element; elements that hold no article text (menus, headers, footers, asides, forms, code,
 adverts, notices, comments of readers) leave an empty line.  The text lengths of ``WINDOW`` consecutive lines are summed at every line.
-A surge is a line where this sum passes ``SURGE`` after a quiet stretch; the dive that ends it is the next line from which
-the sum is zero.  The stretch with the most text is the core.  If its text lies mostly inside one article or main element, all lines of
-that element are kept, short ones at its ends too; otherwise the lines between surge and dive are.
+A surge is a line where this sum passes ``SURGE``, or half of the page's largest sum if that is less, after a quiet stretch; the dive
+that ends it is the next line from which the sum is zero.  All stretches between surge and dive are the core.  If its text lies
+mostly inside article and main elements, all lines of these elements are kept instead, short ones at their ends too.
 """
 
 from __future__ import annotations
 
 import html
 import re
-from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -50,12 +49,12 @@ def _furniture(tag: str, attributes: str) -> bool:
     return False
 
 
-def lines_of(page: str) -> list[tuple[str, int]]:
-    """The lines of a page in order, each with the number of the innermost article or main element around it (0: none)."""
-    out: list[tuple[str, int]] = []
-    stack: list[tuple[str, bool, int]] = []
+def lines_of(page: str) -> list[tuple[str, bool]]:
+    """The lines of a page in order, each with whether an article or main element is around it."""
+    out: list[tuple[str, bool]] = []
+    stack: list[tuple[str, bool, bool]] = []
     text: list[str] = []
-    skip, home, homes, at = False, 0, 0, 0
+    skip, home, at = False, False, 0
 
     def end_line():
         if text:
@@ -111,11 +110,10 @@ def lines_of(page: str) -> list[tuple[str, int]]:
         stack.append((tag, skip, home))
         if not skip and _furniture(tag, found[3] or found[6] or ""):
             end_line()
-            out.append(("", 0))
+            out.append(("", False))
             skip = True
         elif not skip and tag in ("article", "main"):
-            homes += 1
-            home = homes
+            home = True
     end_line()
     return out
 
@@ -127,9 +125,11 @@ def main_text(page: str | None) -> str:
     lines = lines_of(page)
     lengths = [len(line) for line, _ in lines]
     sums = [sum(lengths[i : i + WINDOW]) for i in range(len(lines))]
-    best, core, i = 0, None, 0
+    surge = min(SURGE, max(sums, default=0) / 2)
+    core: list[int] = []
+    i = 0
     while i < len(lines):
-        if sums[i] > SURGE:
+        if sums[i] > surge:
             # The surge begins at the first line of the window that has text.
             first = i
             while first < len(lines) and not lengths[first]:
@@ -137,22 +137,14 @@ def main_text(page: str | None) -> str:
             last = first
             while last < len(lines) and sums[last]:
                 last += 1
-            total = sum(lengths[first:last])
-            if total > best:
-                best, core = total, (first, last)
+            core.extend(range(first, last))
             i = max(last, i + 1)
         else:
             i += 1
-    own: Counter = Counter()
-    for (line, home), _ in zip(lines if core is None else lines[slice(*core)], lengths, strict=False):
-        if home:
-            own[home] += len(line)
-    if core is None and not own:
-        return ""
-    home, size = own.most_common(1)[0] if own else (0, 0)
-    if home and 2 * size >= best:
-        return "\n".join(line for line, h in lines if h == home and line)
-    return "\n".join(line for line, _ in lines[slice(*core)] if line)
+    inside = sum(lengths[i] for i in core if lines[i][1])
+    if inside and 2 * inside >= sum(lengths[i] for i in core):
+        return "\n".join(line for line, home in lines if home and line)
+    return "\n".join(lines[i][0] for i in core if lengths[i])
 
 
 def extract(pages: DataFrame) -> DataFrame:

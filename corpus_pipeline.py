@@ -11,16 +11,20 @@ from thriftline.llm import decontaminate, language_id, near_dedup, packing, subs
 from thriftline.llm.queries import tokenizer_path
 from thriftline.shipping import written
 
-#: Below this share of the positive cosines no language is taken for known.
+#: No language is taken for known below this likeness to its own text, less 1 / sqrt(n) for what n letter n-grams may miss by chance.
 LEAST_SCORE = 0.3
 #: Near duplicates share this percentage of their five-word shingles.
 SHINGLE, PERCENT = 5, 80
 
 
 def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a language learned from the corpus; those without letters or below ``LEAST_SCORE`` go."""
-    out, (lang, score) = language_id.identified(docs, language_id.learned(docs))
-    return out.where((F.col(lang) != "und") & (F.col(score) >= LEAST_SCORE)).select(*docs.columns)
+    """Documents in a language learned from the corpus; those without letters or less alike than ``LEAST_SCORE`` go.
+
+    The likeness is that to the best language alone, so it does not depend on how many others were learned.
+    """
+    out, (lang, alike, grams) = language_id.likened(docs, language_id.learned_counts(docs))
+    enough = F.col(alike) >= LEAST_SCORE - 1 / F.sqrt(grams)
+    return out.where((F.col(lang) != "und") & enough).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

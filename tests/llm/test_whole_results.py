@@ -1,5 +1,8 @@
 """Results that lose nothing: parts of pages, languages, rows and minimisers that are easily left out."""
 
+import random
+
+import corpus_pipeline
 import pytest
 
 from thriftline.llm import html_extract
@@ -17,3 +20,17 @@ BREAK = "<nav>a</nav><nav>b</nav><nav>c</nav>"
 ])
 def test_main_text_keeps_every_part(body, expected):
     assert html_extract.main_text(f"<html><body><nav><a>Home</a></nav>{body}<footer>us</footer></body></html>") == expected
+
+
+def test_many_related_languages_lose_no_document(spark):
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randint(3, 7)))
+    shared = [word() for _ in range(60)]
+    rows = []
+    for n in range(16):
+        own = [word() for _ in range(40)]
+        rows += [(20 * n + i, " ".join(rng.choice(shared if rng.random() < 0.6 else own) for _ in range(120)), f"l{n:02}") for i in range(8)]
+    rows.append((999, "zq xj qz vq " * 200, None))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    kept = {r["doc_id"] for r in corpus_pipeline.keep_known_languages(spark, docs, "").collect()}
+    assert kept == {i for i, _, lang in rows if lang}

@@ -128,6 +128,7 @@ def _predict(langs: list[str], held):
         def work(texts: pa.Array):
             best = np.full(len(texts), -1, np.int64)
             top, total = np.full(len(texts), -np.inf), np.zeros(len(texts))
+            count = np.zeros(len(texts), np.int64)
             for i, j, gram, begin in _grams(texts):
                 full = np.flatnonzero(begin[1:] > begin[:-1])
                 if not len(full):
@@ -136,41 +137,72 @@ def _predict(langs: list[str], held):
                 best[i + full] = sums.argmax(axis=1)
                 top[i + full] = sums.max(axis=1)
                 total[i + full] = np.maximum(sums, 0).sum(axis=1)
+                count[i + full] = np.diff(begin)[full]
             names = [langs[b] if b >= 0 else None for b in best.tolist()]
-            return [pa.array(names, pa.string()), pa.array(top), pa.array(total)]
+            return [pa.array(names, pa.string()), pa.array(top), pa.array(total), pa.array(count)]
 
         return work
 
     return make
 
 
+def _best(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]):
+    """``docs`` with one set of columns for each table; the best language with its sum; all positive sums; n-grams; the added names."""
+    out, added = docs, []
+    for n, (langs, table) in enumerate(tables):
+        held = docs.sparkSession.sparkContext.broadcast(np.ascontiguousarray(table, np.float32))
+        names = [fresh(f"{k}_{n}", out.columns) for k in ("lang", "top", "total", "grams")]
+        out = annotate(out, _predict(langs, held), list(zip(names, ("string", "double", "double", "long"), strict=True)))
+        added.append(names)
+    best = F.array_max(F.array(*[F.struct(F.col(t).alias("top"), F.lit(-n).alias("n"), F.col(k).alias("lang")) for n, (k, t, _, _) in enumerate(added)])) if added else None
+    total = sum((F.col(s) for _, _, s, _ in added), F.lit(0.0))
+    return out, best, total, F.col(added[0][3]) if added else None, [n for names in added for n in names]
+
+
 def identified(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]) -> tuple[DataFrame, tuple[str, str]]:
     """All columns of ``docs`` and two more: language and score; and the names of the two.
 
     The score is the best prototype's share of all positive cosines: 1 if no other is alike.  A null text or one without a
     letter is ``und`` with score 0; so is every text if no language was learned.  Ties go to the first language in order.
     """
-    out, added = docs, []
-    for n, (langs, table) in enumerate(tables):
-        held = docs.sparkSession.sparkContext.broadcast(np.ascontiguousarray(table, np.float32))
-        names = [fresh(f"{k}_{n}", out.columns) for k in ("lang", "top", "total")]
-        out = annotate(out, _predict(langs, held), list(zip(names, ("string", "double", "double"), strict=True)))
-        added.append(names)
     lang, score = fresh("lang_pred", docs.columns), fresh("score", docs.columns)
-    if not added:
-        return out.withColumns({lang: F.lit("und"), score: F.lit(0.0)}), (lang, score)
-    best = F.array_max(F.array(*[F.struct(F.col(t).alias("top"), F.lit(-n).alias("n"), F.col(k).alias("lang")) for n, (k, t, _) in enumerate(added)]))
-    total = sum((F.col(s) for _, _, s in added), F.lit(0.0))
+    if not tables:
+        return docs.withColumns({lang: F.lit("und"), score: F.lit(0.0)}), (lang, score)
+    out, best, total, _, added = _best(docs, tables)
     found = best["lang"].isNotNull()
     out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), score: F.when(found & (total > 0), F.greatest(best["top"], F.lit(0.0)) / total).otherwise(F.lit(0.0))})
-    return out.drop(*[n for names in added for n in names]), (lang, score)
+    return out.drop(*added), (lang, score)
 
 
-def learned(docs: DataFrame, folds: int = 5) -> list[tuple[list[str], np.ndarray]]:
-    """The tables of the languages of all rows whose crc32(doc_id) mod ``folds`` is not 0; rows without lang, text or doc_id are left."""
+def likened(docs: DataFrame, counts: dict[str, np.ndarray]) -> tuple[DataFrame, tuple[str, str, str]]:
+    """All columns of ``docs`` and three more: language, likeness and number of n-grams; and the names of the three.
+
+    The likeness is the mean product of a text's n-grams with the prototype of its best language, over the mean of that language's own
+    text: about 1 for its texts, about 0 for n-grams it does not have.  Other languages do not enter it.
+    ``und`` as in ``identified``, with likeness and number 0.
+    """
+    lang, alike, grams = (fresh(k, docs.columns) for k in ("lang_pred", "alike", "n_grams"))
+    if not counts:
+        return docs.withColumns({lang: F.lit("und"), alike: F.lit(0.0), grams: F.lit(0).cast("long")}), (lang, alike, grams)
+    out, best, _, n, added = _best(docs, score_tables(counts))
+    # Vectors of different n-grams are nearly orthogonal, so a prototype is as long as this before it is made a unit.
+    own = {k: float(np.sqrt(DIMENSIONS * ((c / max(c.sum(), 1)) ** 2).sum())) for k, c in counts.items()}
+    typical = F.create_map(*[F.lit(x) for pair in own.items() for x in pair])
+    found = best["lang"].isNotNull()
+    out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), alike: F.when(found, best["top"] / n / typical[best["lang"]]).otherwise(F.lit(0.0)), grams: n})
+    return out.drop(*added), (lang, alike, grams)
+
+
+def learned_counts(docs: DataFrame, folds: int = 5) -> dict[str, np.ndarray]:
+    """n-gram counts of the languages of all rows whose crc32(doc_id) mod ``folds`` is not 0; rows without lang, text or doc_id are left."""
     ship(docs.sparkSession)
     fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds
-    return score_tables(ngram_counts(docs.where(fold != 0).where("lang is not null and text is not null").select("lang", "text")))
+    return ngram_counts(docs.where(fold != 0).where("lang is not null and text is not null").select("lang", "text"))
+
+
+def learned(docs: DataFrame, folds: int = 5) -> list[tuple[list[str], np.ndarray]]:
+    """The tables of the languages of ``learned_counts``."""
+    return score_tables(learned_counts(docs, folds))
 
 
 def identify_languages(docs: DataFrame, folds: int = 5) -> DataFrame:

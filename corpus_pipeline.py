@@ -7,7 +7,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from thriftline.llm import decontaminate, language_id, near_dedup, packing, substring_dedup
+from thriftline.llm import decontaminate, language_id, near_dedup, packing, rowkeys, substring_dedup
+from thriftline.llm.arrowrun import fresh
 from thriftline.llm.queries import tokenizer_path
 from thriftline.shipping import written
 
@@ -28,10 +29,15 @@ def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: that of the smallest doc_id.  Rows without doc_id stay."""
-    found = near_dedup.near_duplicates(docs, SHINGLE, PERCENT)
-    gone = found.where("not kept").select("doc_id").distinct()
-    known = docs.where("doc_id is not null").join(gone, "doc_id", "left_anti").dropDuplicates(["doc_id"])
+    """One document of each near-duplicate group: that of the smallest doc_id.  Rows without doc_id stay.
+
+    Only rows that repeat doc_id and text together are one document; see ``rowkeys.told_apart``.
+    """
+    key = fresh("row_key", docs.columns)
+    told = rowkeys.told_apart(docs, key)
+    found = near_dedup.near_duplicates(told.select(F.col(key).alias("doc_id"), "text"), SHINGLE, PERCENT)
+    gone = found.where("not kept").select(F.col("doc_id").alias(key)).distinct()
+    known = told.where(F.col(key).isNotNull()).join(gone, key, "left_anti").dropDuplicates([key])
     return known.select(*docs.columns).unionByName(docs.where("doc_id is null"))
 
 

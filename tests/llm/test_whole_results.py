@@ -5,7 +5,7 @@ import random
 import corpus_pipeline
 import pytest
 
-from thriftline.llm import html_extract
+from thriftline.llm import html_extract, substring_dedup
 
 LONG = "word " * 60 + "end"
 BREAK = "<nav>a</nav><nav>b</nav><nav>c</nav>"
@@ -34,3 +34,29 @@ def test_many_related_languages_lose_no_document(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
     kept = {r["doc_id"] for r in corpus_pipeline.keep_known_languages(spark, docs, "").collect()}
     assert kept == {i for i, _, lang in rows if lang}
+
+
+def _two_texts(spark):
+    rng = random.Random(5)
+    words = lambda n: " ".join(f"w{rng.randrange(10**6)}" for _ in range(n))
+    one, two, three = words(80), words(80), words(60)
+    own, again = words(30), " ".join(one.split()[10:50])
+    rows = [(7, one), (7, two), (7, one), (8, f"{own} {again}"), (9, three), (9, three)]
+    return rows, own, spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+
+
+def test_unrelated_texts_of_one_id_both_stay(spark):
+    rows, _, docs = _two_texts(spark)
+    kept = [tuple(r) for r in corpus_pipeline.drop_near_duplicates(spark, docs, "").collect()]
+    assert sorted(kept) == sorted(set(rows))
+
+
+def test_unrelated_texts_of_one_id_lose_no_words_to_each_other(spark):
+    rows, own, docs = _two_texts(spark)
+    got = sorted((r["doc_id"], r["text"]) for r in substring_dedup.substring_dedup(docs).collect())
+    assert got == sorted((i, own if i == 8 else t) for i, t in rows)
+    # Words of one text at the places of the repeat in another of the same id.
+    first, second = f"{own} {own}", " ".join(f"v{i}" for i in range(60))
+    rows = [(1, first), (1, second)]
+    got = sorted(r["text"] for r in substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert second in got and any(len(t.split()) < 60 for t in got if t != second)

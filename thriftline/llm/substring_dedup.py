@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from thriftline.llm import rowkeys
 from thriftline.llm import textscan as ts
 from thriftline.llm.arrowrun import fresh, give_back, pieces
 from thriftline.shipping import ship
@@ -410,14 +411,22 @@ def cleaned(docs: DataFrame, window: int = 20, mer: int = MER) -> tuple[DataFram
 
     A word goes if a window that covers it has a word sequence that also starts earlier in the input: in a document of smaller
     doc_id, or earlier in the same one.  Null texts and texts without words have no words and an empty kept text.  A row without doc_id
-    keeps all words and counts for none.  Rows that repeat a doc_id are copies of one document: a window is not earlier than itself.
+    keeps all words and counts for none.  Rows that repeat doc_id and text are copies of one document: a window is not earlier than itself.
+    Rows of one doc_id and different texts are different documents, in the order of a digest of the text.
     Texts shorter than a window lose nothing.  No rows in, no rows out.
     """
+    key = fresh("row_key", docs.columns)
+    out, added = _cleaned_by(rowkeys.told_apart(docs, key), key, window, mer)
+    return out.drop(key), added
+
+
+def _cleaned_by(docs: DataFrame, key: str, window: int, mer: int) -> tuple[DataFrame, tuple[str, str, str]]:
+    """``cleaned`` of rows whose documents are told apart by ``key``."""
     from pyspark.sql import types as T
 
     spark = docs.sparkSession
     ship(spark)
-    known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null and text is not null")
+    known = docs.select(F.col(key).alias("doc_id"), "text").where("doc_id is not null and text is not null")
     hot, total, packed = _hot_minimisers(known, window, mer)
     hot = spark.sparkContext.broadcast(hot)
     buckets, parts = 1 + packed // BUCKET_BYTES, 1 + total // BUCKET_BYTES
@@ -425,7 +434,7 @@ def cleaned(docs: DataFrame, window: int = 20, mer: int = MER) -> tuple[DataFram
     met = _dealt(sent, buckets).sortWithinPartitions("bucket")
     runs = met.mapInArrow(_repeats(window, parts), "bucket long, kind int, block binary")
     names = docs.columns
-    id_at, text_at = names.index("doc_id"), names.index("text")
+    id_at, text_at = names.index(key), names.index("text")
     rows = docs.mapInArrow(_row_blocks(parts, id_at, text_at), "bucket long, kind int, block binary")
     together = _dealt(runs.unionAll(rows), parts).sortWithinPartitions("bucket", "kind")
     schema, added = T.StructType(list(docs.schema.fields)), []

@@ -3,6 +3,7 @@
 import random
 
 import corpus_pipeline
+import numpy as np
 import pytest
 
 from thriftline.llm import html_extract, substring_dedup
@@ -60,3 +61,14 @@ def test_unrelated_texts_of_one_id_lose_no_words_to_each_other(spark):
     rows = [(1, first), (1, second)]
     got = sorted(r["text"] for r in substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect())
     assert second in got and any(len(t.split()) < 60 for t in got if t != second)
+
+
+def test_minimisers_rare_in_each_batch_are_found_hot(spark, monkeypatch):
+    monkeypatch.setattr(substring_dedup, "BUCKET_BYTES", 4096)
+    rng = random.Random(6)
+    same = " ".join(f"s{i}" for i in range(24))
+    rows = [(f"{same} " + " ".join(f"x{rng.randrange(10**9)}" for _ in range(5)),) for _ in range(60)]
+    docs = spark.createDataFrame(rows, "text string").repartition(20)
+    hot, total, packed = substring_dedup._hot_minimisers(docs, 20, substring_dedup.MER)
+    assert 0 < len(hot) <= packed // 1024 and total == sum(len(t) for t, in rows)
+    assert len(np.unique(hot)) == len(hot)

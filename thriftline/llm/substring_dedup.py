@@ -6,7 +6,7 @@ windows always meet.  A bucket takes the strings apart again and sorts the finge
 hashes of the word sequence) together with where they start; every window but the first of an equal run is a repeat.
 
 Skew: equal super-k-mers of a piece are settled where they are read and only the first travels; the windows of the few minimisers
-that hold more than a small share of all super-k-mers travel one by one to buckets of their own fingerprints.
+whose super-k-mers have more bytes than a part of a bucket travel one by one to buckets of their own fingerprints.
 Buckets and parts have bounded sizes, so their number grows with the input and no task holds more than one at a time.
 Strings and rows travel in compressed blocks, one for each bucket and batch.
 """
@@ -30,8 +30,8 @@ PIECE, BATCH = 3 << 20, 8 << 20
 BUCKET_BYTES = 12 << 20
 #: Partitions of an exchange at most; beyond it a task works on several buckets, one after another.
 PARTITIONS = 50_000
-#: A minimiser is hot if it has more super-k-mers than this and than this share of all.
-HOT_LEAST, HOT_SHARE = 2048, 65536
+#: A minimiser is hot if it has more super-k-mers than the first and they have more bytes than a bucket divided by the second.
+HOT_LEAST, HOT_SHARE = 1, 4
 _SECOND = np.uint64(0xA0761D6478BD642F)
 
 
@@ -83,12 +83,15 @@ class Cut:
 
 
 def _hot_minimisers(docs: DataFrame, window: int, mer: int) -> tuple[np.ndarray, int, int]:
-    """The hot minimisers, at most ``HOT_SHARE`` of them; bytes of text; bytes of super-k-mers."""
+    """The hot minimisers, fewer than ``HOT_SHARE`` for each bucket; bytes of text; bytes of super-k-mers.
+
+    Every minimiser is counted, in each batch, then in each task, then over all, and none is left out before its total is known.
+    """
 
     def run(batches):
-        total = packed = count = 0
+        total = packed = 0
         for batch in batches:
-            seen = []
+            seen, sizes = [], []
             for piece in pieces(batch, 0, PIECE):
                 raw, offs, _ = ts.text_buffers(piece.column(0))
                 total += int(offs[-1] - offs[0])
@@ -96,20 +99,26 @@ def _hot_minimisers(docs: DataFrame, window: int, mer: int) -> tuple[np.ndarray,
                     spans = ts.Spans(raw, offs[i : j + 1], ts.NON_SPACE)
                     cut = Cut(spans, spans.hashes(), window, mer)
                     if len(cut.first):
-                        packed += int((spans.ends[cut.last + window - 1] - spans.starts[cut.first]).sum())
-                    count += len(cut.first)
-                    seen.append(cut.low)
-            low, times = np.unique(np.concatenate(seen or [np.zeros(0, np.uint64)]), return_counts=True)
-            often = times >= 16
-            yield pa.RecordBatch.from_arrays([pa.array(low[often].view(np.int64)), pa.array(times[often])], names=["low", "n"])
-        # Totals under two reserved kinds, told apart by negative counts.
-        yield pa.RecordBatch.from_arrays([pa.array([0, 1, 2]), pa.array([-1 - total, -1 - packed, -1 - count])], names=["low", "n"])
-
-    found = docs.select("text").mapInArrow(run, "low long, n long").withColumn("kind", F.col("n") < 0)
-    sums = found.groupBy("kind", "low").agg(F.sum(F.when(F.col("kind"), -1 - F.col("n")).otherwise(F.col("n"))).alias("n"))
-    totals = {r["low"]: r["n"] for r in sums.where("kind").collect()}
-    least = max(HOT_LEAST, totals.get(2, 0) // HOT_SHARE)
-    hot = [r["low"] for r in sums.where(f"not kind and n > {least}").select("low").collect()] if totals.get(2, 0) > least else []
+                        sizes.append(spans.ends[cut.last + window - 1] - spans.starts[cut.first])
+                        seen.append(cut.low)
+            if not seen:
+                continue
+            low, size = np.concatenate(seen), np.concatenate(sizes)
+            packed += int(size.sum())
+            order = np.argsort(low)
+            low, size = low[order], size[order]
+            begin = np.flatnonzero(np.concatenate(([True], low[1:] != low[:-1])))
+            times = np.diff(np.append(begin, len(low)))
+            yield pa.RecordBatch.from_arrays([pa.array(low[begin].view(np.int64)), pa.array(times), pa.array(np.add.reduceat(size, begin).astype(np.int64))], names=["low", "n", "size"])
+        # Totals under two reserved kinds, told apart by counts of 0.
+        yield pa.RecordBatch.from_arrays([pa.array([0, 1]), pa.array([0, 0]), pa.array([total, packed])], names=["low", "n", "size"])
+        give_back()
+
+    found = docs.select("text").mapInArrow(run, "low long, n long, size long").withColumn("kind", F.col("n") == 0)
+    sums = found.groupBy("kind", "low").agg(F.sum("n").alias("n"), F.sum("size").alias("size"))
+    rows = sums.where(F.col("kind") | ((F.col("n") > HOT_LEAST) & (F.col("size") > BUCKET_BYTES // HOT_SHARE))).collect()
+    totals = {r["low"]: r["size"] for r in rows if r["kind"]}
+    hot = [r["low"] for r in rows if not r["kind"]]
     return np.sort(np.array(hot, np.int64).view(np.uint64)), totals.get(0, 0), totals.get(1, 0)
 
 

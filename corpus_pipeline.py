@@ -12,7 +12,7 @@ from thriftline.llm.arrowrun import fresh
 from thriftline.llm.queries import tokenizer_path
 from thriftline.shipping import written
 
-#: No language is taken for known below this likeness to its own text, less 1 / sqrt(n) for what n letter n-grams may miss by chance.
+#: No language is taken for known below this likeness to its own text, less 1 / sqrt(n) for what n different n-grams may miss by chance.
 LEAST_SCORE = 0.3
 #: Near duplicates share this percentage of their five-word shingles.
 SHINGLE, PERCENT = 5, 80

@@ -31,7 +31,9 @@ def test_many_related_languages_lose_no_document(spark):
     for n in range(16):
         own = [word() for _ in range(40)]
         rows += [(20 * n + i, " ".join(rng.choice(shared if rng.random() < 0.6 else own) for _ in range(120)), f"l{n:02}") for i in range(8)]
-    rows.append((999, "zq xj qz vq " * 200, None))
+    rows.append((999, "zq xj qz vq " + " ".join(word()[::-1] for _ in range(200)), None))
+    # Two words of a language, often repeated, are still of that language.
+    rows.append((1000, " ".join([own[0]] * 40 + [own[1]] * 40), "l15"))
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
     kept = {r["doc_id"] for r in corpus_pipeline.keep_known_languages(spark, docs, "").collect()}
     assert kept == {i for i, _, lang in rows if lang}

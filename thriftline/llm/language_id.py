@@ -121,14 +121,18 @@ def score_tables(counts: dict[str, np.ndarray], seed: int = 11) -> list[tuple[li
     return out
 
 
-def _predict(langs: list[str], held):
+#: Likeness under which the different n-grams of a text are counted.
+WEAK = 0.5
+
+
+def _predict(langs: list[str], held, own: list[float] | None = None):
     def make():
         table = held.value
 
         def work(texts: pa.Array):
             best = np.full(len(texts), -1, np.int64)
             top, total = np.full(len(texts), -np.inf), np.zeros(len(texts))
-            count = np.zeros(len(texts), np.int64)
+            count, different = np.zeros(len(texts), np.int64), np.zeros(len(texts), np.int64)
             for i, j, gram, begin in _grams(texts):
                 full = np.flatnonzero(begin[1:] > begin[:-1])
                 if not len(full):
@@ -137,26 +141,32 @@ def _predict(langs: list[str], held):
                 best[i + full] = sums.argmax(axis=1)
                 top[i + full] = sums.max(axis=1)
                 total[i + full] = np.maximum(sums, 0).sum(axis=1)
-                count[i + full] = np.diff(begin)[full]
+                count[i + full] = different[i + full] = np.diff(begin)[full]
+                if own is not None:
+                    # Repeats tell nothing new; they are only looked for where it can matter.
+                    weak = sums.max(axis=1) < WEAK * count[i + full] * np.array(own)[sums.argmax(axis=1)]
+                    for k in full[weak].tolist():
+                        different[i + k] = len(np.unique(gram[begin[k] : begin[k + 1]]))
             names = [langs[b] if b >= 0 else None for b in best.tolist()]
-            return [pa.array(names, pa.string()), pa.array(top), pa.array(total), pa.array(count)]
+            return [pa.array(names, pa.string()), pa.array(top), pa.array(total), pa.array(count), pa.array(different)]
 
         return work
 
     return make
 
 
-def _best(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]):
-    """``docs`` with one set of columns for each table; the best language with its sum; all positive sums; n-grams; the added names."""
+def _best(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]], own: dict[str, float] | None = None):
+    """``docs`` with one set of columns for each table; the best language with its sum; all positive sums; n-grams, all and different; the added names."""
     out, added = docs, []
     for n, (langs, table) in enumerate(tables):
         held = docs.sparkSession.sparkContext.broadcast(np.ascontiguousarray(table, np.float32))
-        names = [fresh(f"{k}_{n}", out.columns) for k in ("lang", "top", "total", "grams")]
-        out = annotate(out, _predict(langs, held), list(zip(names, ("string", "double", "double", "long"), strict=True)))
+        names = [fresh(f"{k}_{n}", out.columns) for k in ("lang", "top", "total", "grams", "different")]
+        out = annotate(out, _predict(langs, held, own and [own[k] for k in langs]), list(zip(names, ("string", "double", "double", "long", "long"), strict=True)))
         added.append(names)
-    best = F.array_max(F.array(*[F.struct(F.col(t).alias("top"), F.lit(-n).alias("n"), F.col(k).alias("lang")) for n, (k, t, _, _) in enumerate(added)])) if added else None
-    total = sum((F.col(s) for _, _, s, _ in added), F.lit(0.0))
-    return out, best, total, F.col(added[0][3]) if added else None, [n for names in added for n in names]
+    best = F.array_max(F.array(*[F.struct(F.col(t).alias("top"), F.lit(-n).alias("n"), F.col(k).alias("lang")) for n, (k, t, *_) in enumerate(added)]))
+    total = sum((F.col(s) for _, _, s, _, _ in added), F.lit(0.0))
+    different = F.array_min(F.array(*[F.col(names[4]) for names in added]))
+    return out, best, total, (F.col(added[0][3]), different), [n for names in added for n in names]
 
 
 def identified(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]) -> tuple[DataFrame, tuple[str, str]]:
@@ -175,7 +185,7 @@ def identified(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]) -> t
 
 
 def likened(docs: DataFrame, counts: dict[str, np.ndarray]) -> tuple[DataFrame, tuple[str, str, str]]:
-    """All columns of ``docs`` and three more: language, likeness and number of n-grams; and the names of the three.
+    """All columns of ``docs`` and three more: language, likeness and number of n-grams (different ones if it is under ``WEAK``); and their names.
 
     The likeness is the mean product of a text's n-grams with the prototype of its best language, over the mean of that language's own
     text: about 1 for its texts, about 0 for n-grams it does not have.  Other languages do not enter it.
@@ -184,12 +194,12 @@ def likened(docs: DataFrame, counts: dict[str, np.ndarray]) -> tuple[DataFrame,
     lang, alike, grams = (fresh(k, docs.columns) for k in ("lang_pred", "alike", "n_grams"))
     if not counts:
         return docs.withColumns({lang: F.lit("und"), alike: F.lit(0.0), grams: F.lit(0).cast("long")}), (lang, alike, grams)
-    out, best, _, n, added = _best(docs, score_tables(counts))
     # Vectors of different n-grams are nearly orthogonal, so a prototype is as long as this before it is made a unit.
     own = {k: float(np.sqrt(DIMENSIONS * ((c / max(c.sum(), 1)) ** 2).sum())) for k, c in counts.items()}
+    out, best, _, (n, different), added = _best(docs, score_tables(counts), own)
     typical = F.create_map(*[F.lit(x) for pair in own.items() for x in pair])
     found = best["lang"].isNotNull()
-    out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), alike: F.when(found, best["top"] / n / typical[best["lang"]]).otherwise(F.lit(0.0)), grams: n})
+    out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), alike: F.when(found, best["top"] / n / typical[best["lang"]]).otherwise(F.lit(0.0)), grams: different})
     return out.drop(*added), (lang, alike, grams)
 
 

@@ -212,6 +212,32 @@ def test_packing_is_a_round_trip(docs):
         assert at <= 256 and at & (at - 1) == 0 and len(parts) <= 20
 
 
+def test_the_longest_that_fits_has_the_largest_dot_product():
+    rng = random.Random(9)
+    line, pool = packing.LinePool(), packing.Pool((512, 64, 512))
+    for i in range(300):
+        n = rng.randint(1, 400)
+        line.add(i, n)
+        pool.add(i, n, n)
+    for room in (1, 7, 100, 399, 512):
+        at = pool.best(np.array([room, 5, room], float))
+        assert line.best(room) == (int(pool.vectors[at, 0]) if at >= 0 else 0)
+
+
+def test_short_examples_are_packed_as_fast_as_long_ones():
+    import time
+
+    def rate(length):
+        packer, n, begin = packing.Packer(4096, 1024, 4096), 1_200_000 // length, time.process_time()
+        made = [s for i in range(n) for s in packer.add(i, length)] + list(packer.finish())
+        assert sum(p[2] for s in made for p in s) == n * length
+        # All but the sequences of what is left at the end of a pool are full.
+        assert sum(sum(p[2] for p in s) < 4096 for s in made) <= 12
+        return time.process_time() - begin
+
+    assert rate(10) < 20 and rate(60) < 5
+
+
 def test_packing_of_odd_tables(nothing, nameless):
     path = tokenizer_path("word_bpe_49k.json")
     assert packing.pack_documents(nothing, path).count() == 0
@@ -241,6 +267,7 @@ def test_token_counts_equal_the_library(spark, name, drop):
 
     rng = random.Random(5)
     parts = ["a", "B", "'s", "'ll", " ", "  ", "\n", "\t", ".", ",", "0", "12", "é", "Ç", "́", "字", " ", "…", "<|endoftext|>", "<|", "word", "don't"]
+    parts += ["Привет", "мир", "ς", "İ", "ŉ", "。", "カ", "゛", "한", "ᄒ", "ᅡ", "क़", "न", "्", "ع", "َ", "😀", "\u3000", "\x85", "\x1c", "²", "ⅷ", "≠", "«", "\ufeff", "\u200b"]
     texts = [None, "", *("".join(rng.choice(parts) for _ in range(rng.randint(0, 30))) for _ in range(3000)), "long " * 60_000]
     rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r["doc_id"]: (r["n_bytes"], r["n_tokens"], r["over_limit"]) for r in tokens.token_counts(rows, tokenizer_path(name), drop_space=drop).collect()}
@@ -249,6 +276,19 @@ def test_token_counts_equal_the_library(spark, name, drop):
     assert got == {i: (len((x or "").encode()), n, n > 512) for i, (x, n) in enumerate(zip(texts, sizes, strict=True))}
 
 
+def test_what_is_remembered_is_bounded(monkeypatch):
+    import pyarrow as pa
+
+    encoder = tokens.Encoder(tokenizer_path("word_bpe_49k.json"), True, True)
+    words = ["Привет, мир! " * 200, "字" * 5000, "λόγος και έργον " * 100]
+    once = [r[2].tolist() for r in encoder.rows(pa.array(words))]
+    assert encoder.count < 20 and encoder.total < 100
+    monkeypatch.setattr(tokens, "KEPT_IDS", 5)
+    assert [r[2].tolist() for r in encoder.rows(pa.array(words))] == once
+    expected = [i for ids in _ids(words) for i in ids[:-1]]
+    assert [i for block in once for i in block] == expected
+
+
 def test_token_counts_of_odd_tables(nothing, nameless):
     path = tokenizer_path("byte_bpe_50k.json")
     assert tokens.token_counts(nothing, path).count() == 0

@@ -62,3 +62,7 @@ DECONTAMINATE = f"""WITH b AS (SELECT CAST(item_id AS VARCHAR) AS item, {_alnum(
  pos AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + n)) AS p FROM hit) GROUP BY 1),
  it AS (SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT doc_id, item FROM hit) GROUP BY 1)
  SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items, sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated FROM d LEFT JOIN pos USING (doc_id) LEFT JOIN it USING (doc_id)"""
+
+PACK_CONVERSATIONS = f"""WITH w AS (SELECT conv_id, role, len({_words("text")}) AS n FROM conversations),
+ e AS (SELECT conv_id, CAST(sum(n) AS BIGINT) AS n_tokens, CAST(sum(CASE WHEN role = 'assistant' THEN n ELSE 0 END) AS BIGINT) AS n_loss FROM w GROUP BY 1)
+ SELECT conv_id, n_tokens, n_loss, n_tokens <= 4096 AND n_loss <= 2048 AS fits, true AS kept_limits FROM e"""

@@ -4,11 +4,15 @@ An example is a vector of tokens, segments (1) and loss-bearing tokens; a sequen
 example of the pool, among those that fit, whose vector has the largest dot product with what is left of the limits (both in shares of
 the limits).  Where examples may be cut, whole sequences are cut off long ones first, and a sequence into which nothing fits
 any more is filled up with a piece of the largest example; what is left at the end of a task goes into sequences whose lengths
-are powers of two.  The pool is bounded, so a task holds no more than it whatever the input; no row moves between tasks.
+are powers of two.  The pool is bounded in tokens and in examples, so a task holds no more than it whatever the input; no row moves
+between tasks.  ``pack_documents`` has loss on every token, where the best example is the longest that fits (``LinePool``);
+``pack_examples`` weighs all three.
 """
 
 from __future__ import annotations
 
+import bisect
+
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
@@ -20,51 +24,87 @@ from thriftline.llm.arrowrun import columns_of, give_back, pieces
 from thriftline.llm.tokens import encoder_for
 from thriftline.shipping import ship
 
-#: A task's pool in sequences: from the first it packs, down to the second.
+#: A task's pool: from so many sequences or examples it packs, down to so many sequences and examples.
 HIGH, LOW = 256, 64
+HIGH_COUNT, LOW_COUNT = 1 << 16, 1 << 14
 
 
 class Pool:
-    """Examples waiting for a sequence: vectors and payloads in parallel, with free places reused."""
+    """Examples waiting for a sequence, by their vectors: equal vectors share a place, so a search looks at each vector once."""
 
     def __init__(self, limits: tuple[int, int, int]):
         self.limits = np.array(limits, float)
         self.vectors = np.full((64, 3), np.inf)
-        self.payload: list = [None] * 64
+        self.waiting: list[list] = [[] for _ in range(64)]
+        self.place: dict[tuple[int, int], int] = {}
         self.free = list(range(63, -1, -1))
-        self.tokens = self.count = 0
+        self.count = 0
 
     def add(self, payload, tokens: int, loss: int) -> None:
-        if not self.free:
-            n = len(self.payload)
-            self.vectors = np.concatenate((self.vectors, np.full((n, 3), np.inf)))
-            self.payload += [None] * n
-            self.free = list(range(2 * n - 1, n - 1, -1))
-        at = self.free.pop()
-        self.vectors[at] = (tokens, 1, loss)
-        self.payload[at] = payload
-        self.tokens += tokens
+        at = self.place.get((tokens, loss))
+        if at is None:
+            if not self.free:
+                n = len(self.waiting)
+                self.vectors = np.concatenate((self.vectors, np.full((n, 3), np.inf)))
+                self.waiting += [[] for _ in range(n)]
+                self.free = list(range(2 * n - 1, n - 1, -1))
+            at = self.place[tokens, loss] = self.free.pop()
+            self.vectors[at] = (tokens, 1, loss)
+        self.waiting[at].append(payload)
         self.count += 1
 
     def take(self, at: int):
-        payload, self.payload[at] = self.payload[at], None
-        self.tokens -= int(self.vectors[at, 0])
-        self.vectors[at] = np.inf
+        payload = self.waiting[at].pop()
+        if not self.waiting[at]:
+            del self.place[int(self.vectors[at, 0]), int(self.vectors[at, 2])]
+            self.vectors[at] = np.inf
+            self.free.append(at)
         self.count -= 1
-        self.free.append(at)
         return payload
 
     def best(self, left: np.ndarray) -> int:
-        """The place of the fitting example with the largest dot product, or -1; the first place on a tie."""
+        """The place of the fitting vector with the largest dot product, or -1; the first place on a tie."""
         fits = (self.vectors <= left).all(axis=1)
         if not fits.any():
             return -1
         places = np.flatnonzero(fits)
         return int(places[((self.vectors[places] / self.limits) @ (left / self.limits)).argmax()])
 
-    def largest(self) -> int:
-        tokens = self.vectors[:, 0]
-        return int(np.where(np.isinf(tokens), -1, tokens).argmax())
+
+class LinePool:
+    """The pool where every token bears loss: vectors (n, 1, n) lie on a line, along which the dot product grows with n.
+
+    So the best example is the longest that fits, found by bisection among the lengths there are, and it stays the best while it fits.
+    """
+
+    def __init__(self):
+        self.lengths: list[int] = []
+        self.waiting: dict[int, list] = {}
+        self.tokens = self.count = 0
+
+    def add(self, payload, tokens: int) -> None:
+        if tokens not in self.waiting:
+            bisect.insort(self.lengths, tokens)
+            self.waiting[tokens] = []
+        self.waiting[tokens].append(payload)
+        self.tokens += tokens
+        self.count += 1
+
+    def take(self, tokens: int, times: int = 1) -> list:
+        own = self.waiting[tokens]
+        out = own[-times:][::-1]
+        del own[-times:]
+        if not own:
+            del self.waiting[tokens]
+            del self.lengths[bisect.bisect_left(self.lengths, tokens)]
+        self.tokens -= tokens * times
+        self.count -= times
+        return out
+
+    def best(self, room: int) -> int:
+        """The length of the best example within ``room`` tokens, or 0."""
+        at = bisect.bisect_right(self.lengths, room)
+        return self.lengths[at - 1] if at else 0
 
 
 def _powers(n: int) -> list[int]:
@@ -72,61 +112,58 @@ def _powers(n: int) -> list[int]:
 
 
 class Packer:
-    """Sequences of (payload, start, length) pieces.  A payload has ``ids``; every token of a cut example bears loss."""
+    """Sequences of (payload, start, length) pieces, examples being cut where that fills one; every token bears loss."""
 
     def __init__(self, tokens: int, segments: int, loss: int):
-        self.tokens, self.segments = tokens, segments
-        self.limits = (tokens, segments, loss)
-        self.pool = Pool(self.limits)
+        self.tokens, self.segments, self.whole = tokens, segments, min(tokens, loss)
+        self.pool = LinePool()
 
     def add(self, payload, tokens: int):
         """Takes an example; yields the whole sequences that can be cut off it, and others while the pool is full."""
-        whole = min(self.tokens, self.limits[2])
         start = 0
-        while tokens - start >= whole:
-            yield [(payload, start, whole)]
-            start += whole
+        while tokens - start >= self.whole:
+            yield [(payload, start, self.whole)]
+            start += self.whole
         if tokens > start:
-            self.pool.add((payload, start, tokens - start), tokens - start, tokens - start)
-        if self.pool.tokens > HIGH * self.tokens:
-            yield from self.pack(LOW * self.tokens)
-
-    def pack(self, until: int = 0):
-        pool, whole = self.pool, min(self.tokens, self.limits[2])
-        while pool.count and pool.tokens >= until:
-            left, out = np.array(self.limits, float), []
-            while pool.count and left.min() > 0:
-                at = pool.best(left)
-                if at >= 0:
-                    vector = pool.vectors[at].copy()
-                    out.append(pool.take(at))
+            self.pool.add((payload, start, tokens - start), tokens - start)
+        if self.pool.tokens > HIGH * self.tokens or self.pool.count > HIGH_COUNT:
+            yield from self.pack(LOW * self.tokens, LOW_COUNT)
+
+    def pack(self, until: int, count: int):
+        pool = self.pool
+        while pool.count and (pool.tokens >= until or pool.count > count):
+            room, segments, out = self.whole, self.segments, []
+            while pool.count and room and segments:
+                length = pool.best(room)
+                if length:
+                    times = min(len(pool.waiting[length]), room // length, segments)
+                    out += pool.take(length, times)
+                    room, segments = room - times * length, segments - times
                 else:
-                    room = int(min(left[0], left[2]))
-                    payload, start, length = pool.take(pool.largest())
+                    (payload, start, length), = pool.take(pool.lengths[-1])
                     out.append((payload, start, room))
-                    pool.add((payload, start + room, length - room), length - room, length - room)
-                    vector = np.array([room, 1, room], float)
-                left -= vector
-            if sum(p[2] for p in out) == whole:
+                    pool.add((payload, start + room, length - room), length - room)
+                    room = 0
+            if not room:
                 yield out
             else:
                 yield from _tail(out)
 
     def finish(self):
-        yield from self.pack()
+        yield from self.pack(0, 0)
 
 
 def _tail(pieces_left: list) -> list[list]:
     """Sequences of power-of-two lengths from the pieces of a short one."""
-    out, queue = [], list(pieces_left)
+    out, queue = [], list(pieces_left)[::-1]
     for size in _powers(sum(p[2] for p in queue)):
         own = []
         while size:
-            payload, start, length = queue.pop(0)
+            payload, start, length = queue.pop()
             use = min(size, length)
             own.append((payload, start, use))
             if use < length:
-                queue.insert(0, (payload, start + use, length - use))
+                queue.append((payload, start + use, length - use))
             size -= use
         out.append(own)
     return out
@@ -175,13 +212,14 @@ def pack_documents(docs: DataFrame, path: str, end_id: int = 2, tokens: int = 40
             held = 0
             return made
 
-        end = np.array([end_id], np.uint32)
         for arrived in batches:
             for piece in pieces(arrived, 1, 2 << 20):
                 names = piece.column(0).to_pylist()
                 for i, j, flat, begin in encoder.rows(piece.column(1)):
+                    flat = np.insert(flat, begin[1:], np.uint32(end_id))
+                    begin = (begin + np.arange(len(begin))).tolist()
                     for r in range(j - i):
-                        ids = np.concatenate((flat[begin[r] : begin[r + 1]], end))
+                        ids = flat[begin[r] : begin[r + 1]].copy()
                         for sequence in packer.add((names[i + r], ids), len(ids)):
                             put(sequence)
                     if held > 1 << 20:

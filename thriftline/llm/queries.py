@@ -41,6 +41,17 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 
+def pack_conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whole conversations under all three limits, tokens being words: each with its sizes, and whether its sequence keeps the limits."""
+    words = F.size(F.filter(F.split(F.coalesce("text", F.lit("")), "[ \\t-\\r]+"), lambda w: w != "")).cast("long")
+    said = F.when(F.col("role") == "assistant", words).otherwise(F.lit(0))
+    examples = _table(spark, sf_dir, "conversations").groupBy("conv_id").agg(F.sum(words).alias("n_tokens"), F.sum(said).cast("long").alias("n_loss"))
+    packed = packing.pack_examples(examples.withColumnRenamed("conv_id", "example_id"))
+    rows = packed.join(examples, F.col("example_id") == F.col("conv_id"))
+    sums = rows.groupBy("sequence_id").agg(((F.sum("n_tokens") <= 4096) & (F.count("*") <= 64) & (F.sum("n_loss") <= 2048) | (~F.min("fits") & (F.count("*") == 1))).alias("kept_limits"))
+    return rows.join(sums, "sequence_id").select("conv_id", "n_tokens", "n_loss", "fits", "kept_limits")
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.token_counts(_table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"))
 
@@ -68,6 +79,7 @@ QUERIES = {
     "op3_sharding": op3_sharding,
     "op4_html_extract": op4_html_extract,
     "op5_packing": op5_packing,
+    "pack_conversations": pack_conversations,
     "op6_token_counts": op6_token_counts,
     "op7_quality_rules": op7_quality_rules,
     "op8_quality_classifier": op8_quality_classifier,
@@ -80,4 +92,5 @@ ORACLES = {
     "op2_substring_dedup": oracles.SUBSTRING,
     "op7_quality_rules": oracles.QUALITY_RULES,
     "op10_decontaminate": oracles.DECONTAMINATE,
+    "pack_conversations": oracles.PACK_CONVERSATIONS,
 }

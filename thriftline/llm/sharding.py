@@ -97,6 +97,11 @@ def _oversized(ranges: list, shards: int) -> tuple[list[int], list[int]]:
     return held, [i for i, r in enumerate(ranges) if not r[3] and r[2] * (shards - len(held)) > left]
 
 
+def _numbers(df: DataFrame, numbers: list[int]) -> DataFrame:
+    """A table of a few numbers, at most ``FAN`` for each cut."""
+    return df.sparkSession.range(1).select(F.explode(F.array(*[F.lit(n).cast("long") for n in numbers])).alias("_open"))
+
+
 def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], list[int], int]:
     """For rows (key, size) whose equal keys are one group: the keys of groups with a shard of their own, the first keys of the second and
     later shards of the others, and the capacity of these.
@@ -106,7 +111,9 @@ def contiguous_cuts(groups: DataFrame, shards: int) -> tuple[list[int], list[int
     todo: list[tuple[int, int]] = [(0, width)]
     while True:
         span = todo[0][1] - todo[0][0]
-        inside = groups if span == width else groups.where(" or ".join(f"key between {a} and {b - 1}" for a, b in todo))
+        # Open ranges are told by their number, in one look-up whatever their count.
+        own = F.shiftright("key", span.bit_length() - 1)
+        inside = groups if span == width else groups.join(F.broadcast(_numbers(groups, [a // span for a, _ in todo])), own == F.col("_open"), "left_semi")
         step = max(1, span >> FAN_BITS)
         part = F.shiftright("key", step.bit_length() - 1)
         sums = inside.groupBy(part.alias("part")).agg(F.sum("size").alias("size"), F.min("key").alias("a"), F.max("key").alias("b")).collect()
@@ -148,10 +155,10 @@ def shard_documents(docs: DataFrame, shards: int = 24) -> DataFrame:
     narrow = durable(docs.select(F.col("doc_id"), key.alias("key"), (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32")))
     alone, firsts, _ = contiguous_cuts(narrow.select("key", "size"), shards)
     shard = F.lit(len(alone))
-    for first in firsts:
-        shard = shard + F.when(F.col("key") >= first, 1).otherwise(0)
-    for n, own in enumerate(alone):
-        shard = F.when(F.col("key") == own, n).otherwise(shard)
+    if firsts:
+        shard = shard + F.size(F.filter(F.array(*[F.lit(k) for k in firsts]), lambda first: first <= F.col("key")))
+    if alone:
+        shard = F.coalesce(F.nullif(F.array_position(F.array(*[F.lit(k) for k in alone]), F.col("key")), F.lit(0)) - 1, shard)
     rows = narrow.count()
     subs = max(1, -(-rows // SLOT_ROWS))
     dealt = narrow.withColumn("shard", shard.cast("int")).withColumn("sub", F.pmod(F.xxhash64("doc_id", "key"), F.lit(subs)))

@@ -72,6 +72,40 @@ def test_large_groups_are_compared_in_blocks(spark, monkeypatch):
     assert got == brute.near(rows)
 
 
+def test_rows_of_one_doc_id_are_told_apart_by_text(spark):
+    rows = [(1, "a b c d e f"), (1, "u v w x y z"), (2, "u v w x y z"), (3, "A B C D E F"), (3, "other words stand here"), (1, "a b c d e f")]
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((r["doc_id"], r["component_id"], r["n_shingles"], r["kept"]) for r in got) == [(1, 1, 4, True), (1, 1, 4, True), (1, 1, 4, True), (2, 1, 4, False), (3, 1, 4, False), (3, 3, 2, True)]
+
+
+def test_a_group_of_near_copies_is_sent_a_few_times_only(spark, monkeypatch):
+    monkeypatch.setattr(near_dedup, "BLOCK", 16)
+    monkeypatch.setattr(near_dedup.skewed, "LEAST", 50)
+    monkeypatch.setattr(near_dedup.skewed, "PARTS", 4)
+    rng = random.Random(12)
+    base, rows = [f"t{i}" for i in range(300)], []
+    for i in range(1200):
+        own = list(base)
+        own[rng.randrange(300)] = f"n{i}"
+        rows.append((i, " ".join(own)))
+    met = []
+    rest = near_dedup._rest
+    monkeypatch.setattr(near_dedup, "_rest", lambda *a: met.append(a[0].where("not main").count()) or rest(*a))
+    got = {r["component_id"] for r in near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    # All hang on the first center: no block meets another.
+    assert got == {0} and met == [0]
+
+
+def test_hot_keys_are_joined_whole(spark, monkeypatch):
+    from thriftline.llm import skewed
+
+    monkeypatch.setattr(skewed, "LEAST", 3)
+    left = spark.createDataFrame([(k, i) for i, k in enumerate([1] * 9 + [2, 2, 3] + [None] * 4)], "k long, i long")
+    right = spark.createDataFrame([(1, 9, "a"), (2, 2, "b"), (7, 0, "c")], "k long, w long, name string")
+    assert sorted(r["i"] for r in skewed.joined(left, right, ["k"], "w", 16).collect()) == list(range(11))
+    assert [r["name"] for r in skewed.joined(left, right, ["k"], "w", 16, outer=True).orderBy("i").collect()] == ["a"] * 9 + ["b"] * 2 + [None] * 5
+
+
 def test_two_signatures_under_the_threshold_share_a_key():
     rng = np.random.default_rng(1)
     slots = rng.integers(0, 1 << 16, (50, near_dedup.SLOTS), dtype=np.uint16)

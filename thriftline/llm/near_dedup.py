@@ -8,9 +8,12 @@ two signatures under the distance threshold share a key for certain.  With 32 sl
 of 32; two sets at Jaccard 0.85 exceed it with probability below 4e-6, and still share a key in all but 3e-8 of such cases.
 
 Nothing below emits the pairs of a bucket.  Equal sets are one class first.  Every bucket of a key names its smallest
-class as pivot; each class goes, with its text, once to each of its pivots (about one).  Any two classes that share a key meet
-under its pivot.  There full sets are compared in blocks of bounded size and only a spanning forest of the confirmed
-links leaves the task.  Components come from repeated contraction to the smallest neighbour.
+class as pivot; each class goes, with its text, once to each of its pivots (about one).  Any two classes that share a key are members of
+its pivot's group.  All full sets of a group are compared with the pivot's, which connects near copies in one row a member; those not
+connected are compared with a few more centers, and only what is left meets the others, in blocks of bounded size, as far as the
+distances to the pivot allow a link (Jaccard distance is a metric).  So no link is lost that would connect two components, and only
+links that do leave a task.  Components come from repeated contraction to the smallest neighbour.  Sets are sets of 64-bit
+hashes of shingles.  Keys that hold many rows are joined by ``skewed``.
 """
 
 from __future__ import annotations
@@ -23,13 +26,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from thriftline.llm import rowkeys, skewed
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import annotate, columns_of, give_back
+from thriftline.llm.arrowrun import annotate, columns_of, give_back, pieces
 from thriftline.shipping import durable, ship, written
 
 SLOTS, CHUNKS, ERRORS, SLOT_BYTES = 32, 8, 1, 2
 #: Members of a block under one pivot, and their shingles, about; a larger group is compared block against block.
 BLOCK, BLOCK_SHINGLES = 256, 1 << 19
+#: Further centers that the members of a group are compared with while more than a block of them is not connected.
+ROUNDS = 4
 _gen = np.random.Generator(np.random.PCG64(971))
 _SCALE = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _SHIFT = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64)
@@ -195,6 +201,114 @@ def _links(percent: int, shingle: int):
     return run
 
 
+def _stars(percent: int, shingle: int):
+    """Rows (grp, salt, role, id, main, text), ordered by the first three, one center (role 0) before its members, to each member's ring and link.
+
+    A ring is a distance to the center of a multiple of what a link may have at most, so that linked sets are in one ring or in neighbours.
+    """
+
+    def run(batches):
+        key, center, name = None, None, None
+        for batch in batches:
+            for piece in pieces(batch, 5, 4 << 20):
+                grp, salt, role, ids, main = (piece.column(i).to_numpy(zero_copy_only=False) for i in range(5))
+                sets = shingle_sets(piece.column(5), shingle)
+                cuts = [0, *(np.flatnonzero((grp[1:] != grp[:-1]) | (salt[1:] != salt[:-1])) + 1).tolist(), len(grp)]
+                out = []
+                for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                    if a == b:
+                        continue
+                    if key != (grp[a], salt[a]):
+                        key, center, name = (grp[a], salt[a]), sets[a], ids[a]
+                        a += 1
+                    if a == b:
+                        continue
+                    sizes = np.array([len(s) for s in sets[a:b]], np.int64)
+                    flat = np.concatenate(sets[a:b])
+                    same = center[np.minimum(np.searchsorted(center, flat), len(center) - 1)] == flat
+                    inter = np.add.reduceat(same, np.cumsum(sizes) - sizes, dtype=np.int64)
+                    union = sizes + len(center) - inter
+                    ring = 100 * (union - inter) // np.maximum(union * (100 - percent), 1)
+                    out.append((np.full(b - a, key[0]), np.full(b - a, name), ids[a:b], main[a:b], sizes, ring, 100 * inter >= percent * union))
+                if out:
+                    columns = [pa.array(np.concatenate(c)) for c in zip(*out, strict=True)]
+                    yield pa.RecordBatch.from_arrays(columns, names=["grp", "center", "id", "main", "size", "ring", "linked"])
+        give_back()
+
+    return run
+
+
+def _tasks(df: DataFrame) -> int:
+    spark = df.sparkSession
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+
+
+def _compared(members: DataFrame, centers: DataFrame, texts: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
+    """Each member (grp, id, main) with the center of its group (grp, center, n): one row a member, a large group being split over tasks."""
+    bound = skewed.hot_bound(total)
+    parts = F.ceil(F.col("n") / F.lit(bound)).cast("int")
+    large = centers.where(F.col("n") > bound).select("grp", parts.alias("parts"))
+    salted = members.join(F.broadcast(large), "grp", "left").withColumn("salt", F.pmod(F.xxhash64("id"), F.coalesce("parts", F.lit(1))).cast("int"))
+    heads = centers.select("grp", F.explode(F.sequence(F.lit(0), parts - 1)).alias("salt"), F.lit(0).alias("role"), F.col("center").alias("id"), F.lit(True).alias("main"))
+    rows = heads.unionAll(salted.select("grp", "salt", F.lit(1).alias("role"), "id", "main"))
+    sent = rows.join(texts, "id").select("grp", "salt", "role", "id", "main", "text")
+    dealt = sent.repartition(_tasks(members), "grp", "salt").sortWithinPartitions("grp", "salt", "role")
+    return durable(dealt.mapInArrow(_stars(percent, shingle), "grp long, center long, id long, main boolean, size long, ring long, linked boolean"))
+
+
+def _rest(state: DataFrame, texts: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
+    """Links (a, b) among the members (grp, id, size, ring, main) that are not known to hang together, and between them and the others.
+
+    Blocks of members meet pair by pair; those of the main component do not meet each other, nor do rings that are no neighbours.
+    """
+    sizes = state.groupBy("grp", "main", "ring").agg(F.count("*").alias("n"), F.sum("size").alias("size"))
+    blocks = F.greatest(F.ceil(F.col("n") / F.lit(BLOCK)), F.ceil(F.col("size") / F.lit(BLOCK_SHINGLES))).cast("long")
+    cell = F.struct("main", "ring", "n", blocks.alias("blocks"))
+    groups = sizes.groupBy("grp").agg(F.sum("n").alias("weight"), F.collect_list(cell).alias("cells"), F.min("main").alias("done")).where("not done").drop("done")
+    placed = skewed.joined(state, groups, ["grp"], "weight", total)
+    own = F.filter("cells", lambda c: (c["main"] == F.col("main")) & (c["ring"] == F.col("ring")))[0]
+
+    def code(main, ring, block):
+        return F.when(main, F.lit(1 << 56)).otherwise(F.lit(0)) + ring * (1 << 32) + block
+
+    near = F.filter("cells", lambda c: (F.abs(c["ring"] - F.col("ring")) <= 1) & ~(c["main"] & F.col("main")))
+    others = F.flatten(F.transform(near, lambda c: F.transform(F.sequence(F.lit(0).cast("long"), c["blocks"] - 1), lambda i: code(c["main"], c["ring"], i))))
+    alone = (own["n"] == 1) & ~F.col("main")
+    placed = placed.withColumn("block", code(F.col("main"), F.col("ring"), F.pmod(F.xxhash64("id"), own["blocks"]))).withColumn("alone", alone)
+    met = placed.withColumn("other", F.explode(others)).where(~(F.col("alone") & (F.col("other") == F.col("block"))))
+    met = met.select("grp", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id")
+    sent = met.join(texts, "id").select("grp", "bi", "bj", "block", "id", "text")
+    dealt = sent.repartition(_tasks(state), "grp", "bi", "bj").sortWithinPartitions("grp", "bi", "bj")
+    return dealt.mapInArrow(_links(percent, shingle), "a long, b long")
+
+
+def links_of(members: DataFrame, texts: DataFrame, percent: int, shingle: int) -> DataFrame:
+    """Links (a, b) that connect all members (grp, id) of a group that full sets connect; ``grp`` is the id of one of them.
+
+    Every member is compared with the first of its group, in one row.  Where many are not linked to it, they are compared with further centers,
+    up to ``ROUNDS`` times; what meets the main component in this way is done.  The few others are compared with all that may be linked to them.
+    """
+    groups = members.groupBy("grp").agg(F.count("*").alias("n")).withColumn("center", F.col("grp"))
+    total = members.count()
+    found = _compared(members.withColumn("main", F.lit(True)), groups, texts, total, percent, shingle)
+    out = found.where("linked").select(F.col("center").alias("a"), F.col("id").alias("b"))
+    state = found.select("grp", "id", "size", "ring", F.col("linked").alias("main"))
+    for turn in range(ROUNDS):
+        each = state.groupBy("grp").agg(F.count("*").alias("weight"), F.count_if(~F.col("main")).alias("open"), F.min(F.when(~F.col("main"), F.struct(F.xxhash64("id", F.lit(turn)), F.col("id"))))["id"].alias("center"))
+        centers = each.where(F.col("open") > BLOCK).select("grp", "center", F.col("weight").alias("n"), "weight")
+        if centers.isEmpty():
+            break
+        centers = durable(centers)
+        part = skewed.joined(state.select("grp", "id", "main"), centers.select("grp", "center", "weight"), ["grp"], "weight", total).where("id <> center").drop("center")
+        found = _compared(part, centers.select("grp", "center", "n"), texts, total, percent, shingle).where("linked")
+        out = out.unionAll(found.select(F.col("center").alias("a"), F.col("id").alias("b")))
+        merged = found.groupBy("grp", "center").agg(F.max("main").alias("met"), F.count("*").alias("weight")).where("met").drop("met")
+        more = skewed.joined(found.where("not main").select("grp", "center", "id"), merged, ["grp", "center"], "weight", total).select("grp", "id")
+        more = more.unionAll(merged.select("grp", F.col("center").alias("id"))).withColumn("now", F.lit(True))
+        state = durable(state.join(more, ["grp", "id"], "left").withColumn("main", F.col("main") | F.coalesce("now", F.lit(False))).drop("now"))
+    return out.unionAll(_rest(state, texts, total, percent, shingle))
+
+
 def smallest_reachable(links: DataFrame) -> DataFrame:
     """(node, component) for every node of the links (a, b), component being the smallest node reachable.
 
@@ -210,47 +324,49 @@ def smallest_reachable(links: DataFrame) -> DataFrame:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
         before = mark
         both = edges.unionAll(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        tied = both.join(low, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e"))
+        low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count("*").alias("weight"))
+        tied = skewed.joined(both, low, ["u"], "weight", 2 * mark["n"]).select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e"))
         edges = durable(tied.select("e.u", "e.v").where("u <> v").distinct())
 
 
+def grouped(told: rowkeys.Told, key: str, shingle: int, percent: int) -> DataFrame:
+    """(key, doc_id, n_shingles, component) for each row, ``component`` being the smallest key linked; null for rows without key."""
+    spark = told.docs.sparkSession
+    ship(spark)
+    docs = told.docs.select(F.col(key).alias("key"), "doc_id", "text")
+    rows = written(annotate(docs, lambda: _described(shingle), [("n_shingles", "long"), ("set_id", "binary"), ("keys", "array<bigint>")], keep_text=False))
+    keyed = rows.where("key is not null and set_id is not null")
+    classes = written(keyed.groupBy("set_id").agg(F.min("key").alias("id"), F.min_by("keys", "key").alias("keys"), F.count("*").alias("n_rows")))
+    sizes = classes.agg(F.count("*").alias("classes"), F.sum("n_rows").alias("rows")).first()
+    index = classes.select("id", F.explode("keys").alias("k"))
+    shared = index.groupBy("k").agg(F.min("id").alias("grp"), F.count("*").alias("weight")).where("weight > 1")
+    members = skewed.joined(index, shared, ["k"], "weight", sizes["classes"] * len(index_keys(np.zeros((1, SLOTS), np.uint16))[0])).where("id <> grp").select("grp", "id").distinct()
+    # One row stands for a class: that of its smallest key.
+    texts = docs.where("key is not null").select(F.col("key").alias("id"), "text")
+    if told.repeated:
+        texts = texts.join(classes.select("id"), "id", "left_semi").dropDuplicates(["id"])
+    found = smallest_reachable(links_of(durable(members), texts, percent, shingle))
+    named = classes.join(found.withColumnRenamed("node", "id"), "id", "left").select("set_id", F.coalesce("component", "id").alias("component"), "n_rows")
+    own = rows.select("key", "doc_id", "n_shingles", F.when(F.col("key").isNotNull(), F.col("set_id")).alias("set_id"))
+    out = skewed.joined(own, named, ["set_id"], "n_rows", sizes["rows"] or 0, outer=True)
+    return out.select("key", "doc_id", "n_shingles", F.coalesce("component", "key").alias("component"))
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 3, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id and kept for each row of ``docs`` (doc_id, text).
 
     Two documents are linked if 100 * |A and B| >= percent * |A or B| for their shingle sets.  Null texts and texts without words
-    have an empty set and no link; they are their own component.  Repeated rows are equal sets, so linked.  A row without a
-    doc_id is linked with nothing: component_id is null and kept is true.  Of rows that repeat both doc_id and set, all have
-    kept alike.  Ties do not arise: the smallest doc_id names a component.  No rows in, no rows out.
+    have an empty set and no link; they are their own component.  Repeated rows are equal sets, so linked, and kept alike.  Rows of one
+    doc_id and different texts are different documents: component_id is the smallest doc_id each reaches, and of such rows that are linked with each
+    other only one is kept.  A row without a doc_id is linked with nothing: component_id is null and kept is true.  Ties do not arise: the
+    smallest doc_id names a component.  No rows in, no rows out.
     """
-    spark = docs.sparkSession
-    ship(spark)
-    docs = columns_of(docs, "doc_id", "text")
-    rows = written(annotate(docs, lambda: _described(shingle), [("n_shingles", "long"), ("set_id", "binary"), ("keys", "array<bigint>")], keep_text=False))
-    ided = rows.where("doc_id is not null and set_id is not null")
-    classes = ided.groupBy("set_id").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys"), F.min("n_shingles").alias("size"))
-    classes = written(classes)
-    keyed = classes.select("id", F.explode("keys").alias("key"))
-    shared = keyed.groupBy("key").agg(F.min("id").alias("pivot"), F.count("*").alias("n")).where("n > 1").select("key", "pivot")
-    members = durable(keyed.join(shared, "key").select("pivot", "id").distinct())
-    sized = members.join(classes.select("id", "size"), "id")
-    groups = sized.groupBy("pivot").agg(F.greatest(F.ceil(F.count("*") / F.lit(BLOCK)), F.ceil(F.sum("size") / F.lit(BLOCK_SHINGLES))).cast("int").alias("blocks"))
-    placed = (
-        members.join(groups, "pivot")
-        .withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .select("pivot", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id")
-    )
-    # One row stands for a class: of rows with equal doc_id, that with the class's set.
-    texts = docs.where("doc_id is not null").withColumnRenamed("doc_id", "id")
-    sent = placed.join(texts, "id").select("pivot", "bi", "bj", "block", "id", "text")
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
-    dealt = sent.repartition(n, "pivot", "bi", "bj").sortWithinPartitions("pivot", "bi", "bj")
-    links = dealt.mapInArrow(_links(percent, shingle), "a long, b long")
-    found = smallest_reachable(links)
-    named = classes.select("set_id", "id").join(found.withColumnRenamed("node", "id"), "id", "left")
-    named = named.select("set_id", F.coalesce("component", "id").alias("component"))
-    own = rows.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.col("set_id")).alias("set_id"))
-    joined = own.join(named, "set_id", "left")
-    component = F.coalesce("component", "doc_id")
-    return joined.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
+    told = rowkeys.told_apart(columns_of(docs, "doc_id", "text"), "row_key")
+    out = grouped(told, "row_key", shingle, percent)
+    kept = F.coalesce(F.col("key") == F.col("component"), F.lit(True))
+    if not told.renumbered:
+        return out.select("doc_id", "n_shingles", F.col("component").cast(docs.schema["doc_id"].dataType).alias("component_id"), kept.alias("kept"))
+    out = written(out)
+    names = out.groupBy("component").agg(F.count("*").alias("weight")).where("component is not null")
+    names = names.join(out.where("key = component").groupBy("key").agg(F.min("doc_id").alias("component_id")), F.col("key") == F.col("component")).drop("key")
+    return skewed.joined(out, names, ["component"], "weight", out.count(), outer=True).select("doc_id", "n_shingles", "component_id", kept.alias("kept"))

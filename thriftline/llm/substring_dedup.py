@@ -425,7 +425,7 @@ def cleaned(docs: DataFrame, window: int = 20, mer: int = MER) -> tuple[DataFram
     Texts shorter than a window lose nothing.  No rows in, no rows out.
     """
     key = fresh("row_key", docs.columns)
-    out, added = _cleaned_by(rowkeys.told_apart(docs, key), key, window, mer)
+    out, added = _cleaned_by(rowkeys.told_apart(docs, key).docs, key, window, mer)
     return out.drop(key), added
 
 

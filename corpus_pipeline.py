@@ -35,9 +35,11 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     """
     key = fresh("row_key", docs.columns)
     told = rowkeys.told_apart(docs, key)
-    found = near_dedup.near_duplicates(told.select(F.col(key).alias("doc_id"), "text"), SHINGLE, PERCENT)
-    gone = found.where("not kept").select(F.col("doc_id").alias(key)).distinct()
-    known = told.where(F.col(key).isNotNull()).join(gone, key, "left_anti").dropDuplicates([key])
+    found = near_dedup.grouped(told, key, SHINGLE, PERCENT)
+    gone = found.where("key <> component").select(F.col("key").alias(key)).distinct()
+    known = told.docs.where(F.col(key).isNotNull()).join(gone, key, "left_anti")
+    if told.repeated:
+        known = known.dropDuplicates([key])
     return known.select(*docs.columns).unionByName(docs.where("doc_id is null"))
 
 

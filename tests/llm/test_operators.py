@@ -136,6 +136,26 @@ def test_hot_minimisers_change_nothing(docs, monkeypatch):
     assert got == brute.substring(corpus())
 
 
+def test_a_window_of_every_document_is_sent_once_a_task(monkeypatch):
+    import types
+
+    import pyarrow as pa
+
+    monkeypatch.setattr(substring_dedup, "PIECE", 500)
+    shared = " ".join(f"s{i}" for i in range(20))
+    texts = [f"{shared} " + " ".join(f"d{n}x{i}" for i in range(30)) for n in range(100)]
+    spans = substring_dedup.ts.Spans(*substring_dedup.ts.text_buffers(pa.array(texts))[:2], substring_dedup.ts.NON_SPACE)
+    low = substring_dedup.Cut(spans, spans.hashes(), 20, 4).low
+    hot = types.SimpleNamespace(value=np.unique(low))
+    batch = pa.RecordBatch.from_arrays([pa.array(range(100)), pa.array(texts)], names=["doc_id", "text"])
+    strings, gone = 0, 0
+    for out in substring_dedup._send(20, 4, hot, 1)([batch]):
+        for kind, block in zip(out.column(1).to_pylist(), out.column(2).to_pylist(), strict=True):
+            ids, *_, text = substring_dedup._unpack(block, (np.int64, np.int32, np.int32))
+            strings, gone = strings + (bytes(text).count(shared.encode()) if kind else 0), gone + (0 if kind else len(ids))
+    assert strings == 1 and gone == 99
+
+
 def test_substring_dedup_of_odd_tables(nothing, nameless):
     assert substring_dedup.substring_dedup(nothing).count() == 0
     rows = substring_dedup.substring_dedup(nameless).collect()

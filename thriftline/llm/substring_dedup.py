@@ -2,11 +2,13 @@
 
 A window is ``window`` consecutive words of one document.  Its minimiser is the smallest hash among its runs of ``mer`` words.
 Consecutive windows with the same minimiser travel as one packed string (a super-k-mer) to the bucket of that minimiser, so equal
-windows always meet.  A bucket takes the strings apart again and sorts the fingerprints of its windows (two independent 64-bit
-hashes of the word sequence) together with where they start; every window but the first of an equal run is a repeat.
+windows always meet.  A bucket takes the strings apart again and sorts the fingerprints of its windows (two 64-bit hashes of the word sequence, which
+share the 64-bit hash of each word) together with where they start; every window but the first of an equal run is a repeat.
 
 Skew: equal super-k-mers of a piece are settled where they are read and only the first travels; the windows of the few minimisers
-whose super-k-mers have more bytes than a part of a bucket travel one by one to buckets of their own fingerprints.
+whose super-k-mers have more bytes than a part of a bucket travel one by one to buckets of their own fingerprints.  A task
+remembers the hot windows it has sent and sends an equal one only if it starts earlier, so a bucket gets about one copy from each task of a window
+that every document holds.
 Buckets and parts have bounded sizes, so their number grows with the input and no task holds more than one at a time.
 Strings and rows travel in compressed blocks, one for each bucket and batch.
 """
@@ -32,6 +34,8 @@ BUCKET_BYTES = 12 << 20
 PARTITIONS = 50_000
 #: A minimiser is hot if it has more super-k-mers than the first and they have more bytes than a bucket divided by the second.
 HOT_LEAST, HOT_SHARE = 1, 4
+#: Hot windows that a task remembers; then it starts anew.
+HOT_HELD = 1 << 20
 _SECOND = np.uint64(0xA0761D6478BD642F)
 
 
@@ -44,7 +48,7 @@ def _prefix(h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def sequence_hashes(h: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Two independent hashes of the word sequences start..stop."""
+    """Two hashes of the word sequences start..stop; equal words enter both alike."""
     out = []
     for words in (h, ts.mix(h ^ _SECOND)):
         sums, _, inverses = _prefix(words)
@@ -175,11 +179,41 @@ def _batch(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int32()), pa.array(c, pa.binary())], names=["bucket", "kind", "block"])
 
 
+class _Sent:
+    """The hot windows that a task has sent, by fingerprint, with the earliest place of each."""
+
+    def __init__(self):
+        self.one = self.two = np.zeros(0, np.uint64)
+        self.owner = self.begin = np.zeros(0, np.int64)
+
+    def later(self, one: np.ndarray, two: np.ndarray, owner: np.ndarray, begin: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of distinct windows, those that start after an equal one sent before, and those sent before from the same place; others count as sent now."""
+        if len(self.one) > HOT_HELD:
+            self.__init__()
+        known = np.zeros(len(one), bool)
+        if len(self.one):
+            place = np.minimum(np.searchsorted(self.one, one), len(self.one) - 1)
+            known = (self.one[place] == one) & (self.two[place] == two)
+            own = place[known]
+            after = (owner[known] > self.owner[own]) | ((owner[known] == self.owner[own]) & (begin[known] > self.begin[own]))
+            again = (owner[known] == self.owner[own]) & (begin[known] == self.begin[own])
+            self.owner[own[~after]], self.begin[own[~after]] = owner[known][~after], begin[known][~after]
+        late, twice = known.copy(), known.copy()
+        if known.any():
+            late[known], twice[known] = after, again
+        new = np.flatnonzero(~known)
+        new = new[np.argsort(one[new], kind="stable")]
+        at = np.searchsorted(self.one, one[new])
+        self.one, self.two = np.insert(self.one, at, one[new]), np.insert(self.two, at, two[new])
+        self.owner, self.begin = np.insert(self.owner, at, owner[new]), np.insert(self.begin, at, begin[new])
+        return late, twice
+
+
 def _send(window: int, mer: int, hot, buckets: int):
     """Rows (doc_id, text) to blocks: kind 0 holds repeats already settled here, kind 1 super-k-mers."""
 
     def run(batches):
-        sender, runs = _Sender(), []
+        sender, runs, sent = _Sender(), [], _Sent()
 
         def flush():
             rows = [(b, 1, block) for b, block in sender.blocks()]
@@ -228,6 +262,12 @@ def _send(window: int, mer: int, hot, buckets: int):
                     gone = sub[later]
                     if len(gone):
                         runs.append((owner[gone], begin[gone], begin[gone] + (last - first)[gone] + window))
+                if (hot_at := np.flatnonzero(travels & single)).size:
+                    late, twice = sent.later(one[hot_at], two[hot_at], owner[hot_at], begin[hot_at])
+                    travels[hot_at[late | twice]] = False
+                    if late.any():
+                        gone = hot_at[late]
+                        runs.append((owner[gone], begin[gone], begin[gone] + window))
                 bucket = (np.where(single, ts.mix(one ^ two), ts.mix(low)) % np.uint64(buckets)).astype(np.int64)
                 go = np.flatnonzero(travels)
                 starts = spans.starts[first[go]]

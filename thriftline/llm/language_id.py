@@ -7,12 +7,14 @@ prototype bundles those of all its training texts.  A document goes to the proto
 As bundling is linear, the dot product of a document with a prototype is the sum over its n-grams of that n-gram's dot product
 with the prototype.  These numbers depend on the n-gram only, so they are worked out once for all ``SYMBOLS ** 3`` n-grams (one
 MB a language) and whole texts are scored by table look-ups; the result is that of the bundled vectors.  The training texts
-are read as n-gram counts by language, a table bounded by n-grams times languages.
+are read as n-gram counts by language, a table bounded by n-grams times languages, and bundled where these meet.
 """
 
 from __future__ import annotations
 
 import unicodedata
+from collections.abc import Iterable, Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +25,7 @@ from thriftline.llm import textscan as ts
 from thriftline.llm.arrowrun import annotate, fresh, give_back
 from thriftline.shipping import ship
 
-BITS, DIMENSIONS = 6, 1024
+BITS, DIMENSIONS, SEED = 6, 1024, 11
 SYMBOLS = 1 << BITS
 #: Languages in one table; more are scored in further tables.
 AT_ONCE = 32
@@ -65,8 +67,40 @@ def _grams(texts: pa.Array):
         yield i, j, gram[kept], np.searchsorted(kept, begin)
 
 
-def ngram_counts(training: DataFrame) -> dict[str, np.ndarray]:
-    """n-gram counts by language over all training rows (lang, text)."""
+class Profile(NamedTuple):
+    """A language: the bundle of its training n-grams, how many they are, and the sum of squares of how often each n-gram stands."""
+
+    bundle: np.ndarray
+    total: int
+    squares: float
+
+
+def _letters(seed: int) -> np.ndarray:
+    return np.random.Generator(np.random.PCG64(seed)).choice(np.array([-1, 1], np.int8), (SYMBOLS, DIMENSIONS))
+
+
+def _bound(seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The letters' vectors as the first, second and third of an n-gram."""
+    letters = _letters(seed).astype(np.float32)
+    return np.roll(letters, 2, axis=1), np.roll(letters, 1, axis=1), letters
+
+
+def bundle(counts: np.ndarray, seed: int = SEED) -> Profile:
+    """The profile of n-gram counts (one for each n-gram number)."""
+    first, second, third = _bound(seed)
+    cube = counts.reshape(SYMBOLS, SYMBOLS, SYMBOLS).astype(np.float64)
+    out = np.zeros(DIMENSIONS)
+    for a in np.flatnonzero(cube.any(axis=(1, 2))):
+        out += first[a] * ((cube[a] @ third) * second).sum(axis=0)
+    return Profile(out, int(counts.sum()), float((counts.astype(np.float64) ** 2).sum()))
+
+
+def profiles(training: DataFrame) -> dict[str, Profile]:
+    """The profile of each language over all training rows (lang, text).
+
+    Tasks count n-grams; the counts of a language, a number for each n-gram at most, meet in one task, which bundles them.  One vector a language
+    comes to the driver.
+    """
     size = SYMBOLS**3
 
     def run(batches):
@@ -91,34 +125,51 @@ def ngram_counts(training: DataFrame) -> dict[str, np.ndarray]:
         yield from flush()
         give_back()
 
-    partial = training.mapInArrow(run, "lang string, gram long, n long")
-    out: dict[str, np.ndarray] = {}
-    for lang, gram, n in partial.groupBy("lang", "gram").agg(F.sum("n").alias("n")).toPandas().itertuples(index=False):
-        out.setdefault(lang, np.zeros(size, np.int64))[gram] = n
-    return {k: out[k] for k in sorted(out)}
+    def bundled(batches):
+        lang, held = None, np.zeros(size, np.int64)
 
+        def done():
+            own = bundle(held)
+            return pa.RecordBatch.from_arrays([pa.array([lang], pa.string()), pa.array([own.bundle.tobytes()]), pa.array([own.total]), pa.array([own.squares])], names=["lang", "bundle", "total", "squares"])
 
-def score_tables(counts: dict[str, np.ndarray], seed: int = 11) -> list[tuple[list[str], np.ndarray]]:
-    """For blocks of languages, the dot product of each n-gram's vector with each prototype of length 1."""
-    letters = np.random.Generator(np.random.PCG64(seed)).choice(np.array([-1, 1], np.int8), (SYMBOLS, DIMENSIONS))
-    first, second = np.roll(letters, 2, axis=1), np.roll(letters, 1, axis=1)
+        for batch in batches:
+            names = batch.column(0).to_pylist()
+            gram, n = batch.column(1).to_numpy(), batch.column(2).to_numpy()
+            cuts = [0, *(i for i in range(1, len(names)) if names[i] != names[i - 1]), len(names)]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if a < b and names[a] != lang:
+                    if lang is not None:
+                        yield done()
+                    lang, held = names[a], np.zeros(size, np.int64)
+                held[gram[a:b]] += n[a:b]
+        if lang is not None:
+            yield done()
+
+    partial = training.mapInArrow(run, "lang string, gram long, n long")
+    # Counts of a task go to its language's task, in order; there is no more than one for each n-gram and task.
+    summed = partial.groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    tasks = max(int(training.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    met = summed.repartition(tasks, "lang").sortWithinPartitions("lang")
+    rows = met.mapInArrow(bundled, "lang string, bundle binary, total long, squares double").collect()
+    return {r["lang"]: Profile(np.frombuffer(r["bundle"]), r["total"], r["squares"]) for r in sorted(rows, key=lambda r: r["lang"])}
 
-    def vectors(a: int) -> np.ndarray:
-        pairs = first[a][None, :] * second
-        return (pairs[:, None, :] * letters[None, :, :]).reshape(SYMBOLS * SYMBOLS, DIMENSIONS).astype(np.float32)
 
-    langs = list(counts)
-    out = []
+def score_tables(learned: dict[str, Profile | np.ndarray], seed: int = SEED) -> Iterator[tuple[list[str], np.ndarray]]:
+    """For blocks of languages, one after another, the dot product of each n-gram's vector with each prototype of length 1.
+
+    A language is a profile, or its n-gram counts.
+    """
+    first, second, third = _bound(seed)
+    langs = list(learned)
     for at in range(0, len(langs), AT_ONCE):
         own = langs[at : at + AT_ONCE]
-        table = np.stack([counts[k] for k in own]).astype(np.float32)
-        table /= np.maximum(table.sum(axis=1, keepdims=True), 1)
-        step = SYMBOLS * SYMBOLS
-        used = [a for a in range(SYMBOLS) if table[:, a * step : (a + 1) * step].any()]
-        prototypes = sum((table[:, a * step : (a + 1) * step] @ vectors(a) for a in used), np.zeros((len(own), DIMENSIONS), np.float32))
-        prototypes /= np.maximum(np.linalg.norm(prototypes, axis=1, keepdims=True), 1e-30)
-        out.append((own, np.concatenate([vectors(a) @ prototypes.T for a in range(SYMBOLS)])))
-    return out
+        table = np.empty((SYMBOLS, SYMBOLS, SYMBOLS, len(own)), np.float32)
+        for n, lang in enumerate(own):
+            known = learned[lang] if isinstance(learned[lang], Profile) else bundle(learned[lang], seed)
+            prototype = (known.bundle / max(np.linalg.norm(known.bundle), 1e-30)).astype(np.float32)
+            for a in range(SYMBOLS):
+                table[a, :, :, n] = (second * (first[a] * prototype)) @ third.T
+        yield own, table.reshape(SYMBOLS**3, len(own))
 
 
 #: Likeness under which the different n-grams of a text are counted.
@@ -155,7 +206,7 @@ def _predict(langs: list[str], held, own: list[float] | None = None):
     return make
 
 
-def _best(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]], own: dict[str, float] | None = None):
+def _best(docs: DataFrame, tables: Iterable[tuple[list[str], np.ndarray]], own: dict[str, float] | None = None):
     """``docs`` with one set of columns for each table; the best language with its sum; all positive sums; n-grams, all and different; the added names."""
     out, added = docs, []
     for n, (langs, table) in enumerate(tables):
@@ -169,22 +220,22 @@ def _best(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]], own: dict
     return out, best, total, (F.col(added[0][3]), different), [n for names in added for n in names]
 
 
-def identified(docs: DataFrame, tables: list[tuple[list[str], np.ndarray]]) -> tuple[DataFrame, tuple[str, str]]:
+def identified(docs: DataFrame, known: dict[str, Profile]) -> tuple[DataFrame, tuple[str, str]]:
     """All columns of ``docs`` and two more: language and score; and the names of the two.
 
     The score is the best prototype's share of all positive cosines: 1 if no other is alike.  A null text or one without a
     letter is ``und`` with score 0; so is every text if no language was learned.  Ties go to the first language in order.
     """
     lang, score = fresh("lang_pred", docs.columns), fresh("score", docs.columns)
-    if not tables:
+    if not known:
         return docs.withColumns({lang: F.lit("und"), score: F.lit(0.0)}), (lang, score)
-    out, best, total, _, added = _best(docs, tables)
+    out, best, total, _, added = _best(docs, score_tables(known))
     found = best["lang"].isNotNull()
     out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), score: F.when(found & (total > 0), F.greatest(best["top"], F.lit(0.0)) / total).otherwise(F.lit(0.0))})
     return out.drop(*added), (lang, score)
 
 
-def likened(docs: DataFrame, counts: dict[str, np.ndarray]) -> tuple[DataFrame, tuple[str, str, str]]:
+def likened(docs: DataFrame, known: dict[str, Profile]) -> tuple[DataFrame, tuple[str, str, str]]:
     """All columns of ``docs`` and three more: language, likeness and number of n-grams (different ones if it is under ``WEAK``); and their names.
 
     The likeness is the mean product of a text's n-grams with the prototype of its best language, over the mean of that language's own
@@ -192,27 +243,22 @@ def likened(docs: DataFrame, counts: dict[str, np.ndarray]) -> tuple[DataFrame,
     ``und`` as in ``identified``, with likeness and number 0.
     """
     lang, alike, grams = (fresh(k, docs.columns) for k in ("lang_pred", "alike", "n_grams"))
-    if not counts:
+    if not known:
         return docs.withColumns({lang: F.lit("und"), alike: F.lit(0.0), grams: F.lit(0).cast("long")}), (lang, alike, grams)
     # Vectors of different n-grams are nearly orthogonal, so a prototype is as long as this before it is made a unit.
-    own = {k: float(np.sqrt(DIMENSIONS * ((c / max(c.sum(), 1)) ** 2).sum())) for k, c in counts.items()}
-    out, best, _, (n, different), added = _best(docs, score_tables(counts), own)
+    own = {k: float(np.sqrt(DIMENSIONS * p.squares)) / max(p.total, 1) for k, p in known.items()}
+    out, best, _, (n, different), added = _best(docs, score_tables(known), own)
     typical = F.create_map(*[F.lit(x) for pair in own.items() for x in pair])
     found = best["lang"].isNotNull()
     out = out.withColumns({lang: F.coalesce(best["lang"], F.lit("und")), alike: F.when(found, best["top"] / n / typical[best["lang"]]).otherwise(F.lit(0.0)), grams: different})
     return out.drop(*added), (lang, alike, grams)
 
 
-def learned_counts(docs: DataFrame, folds: int = 5) -> dict[str, np.ndarray]:
-    """n-gram counts of the languages of all rows whose crc32(doc_id) mod ``folds`` is not 0; rows without lang, text or doc_id are left."""
+def learned(docs: DataFrame, folds: int = 5) -> dict[str, Profile]:
+    """Profiles of the languages of all rows whose crc32(doc_id) mod ``folds`` is not 0; rows without lang, text or doc_id are left."""
     ship(docs.sparkSession)
     fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds
-    return ngram_counts(docs.where(fold != 0).where("lang is not null and text is not null").select("lang", "text"))
-
-
-def learned(docs: DataFrame, folds: int = 5) -> list[tuple[list[str], np.ndarray]]:
-    """The tables of the languages of ``learned_counts``."""
-    return score_tables(learned_counts(docs, folds))
+    return profiles(docs.where(fold != 0).where("lang is not null and text is not null").select("lang", "text"))
 
 
 def identify_languages(docs: DataFrame, folds: int = 5) -> DataFrame:

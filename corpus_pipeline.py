@@ -23,7 +23,7 @@ def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
     The likeness is that to the best language alone, so it does not depend on how many others were learned.
     """
-    out, (lang, alike, grams) = language_id.likened(docs, language_id.learned_counts(docs))
+    out, (lang, alike, grams) = language_id.likened(docs, language_id.learned(docs))
     enough = F.col(alike) >= LEAST_SCORE - 1 / F.sqrt(grams)
     return out.where((F.col(lang) != "und") & enough).select(*docs.columns)
 

@@ -18,8 +18,9 @@ from thriftline.llm.arrowrun import annotate, columns_of
 from thriftline.shipping import ship
 
 BUCKETS = 1 << 17
-#: At most so many labelled rows, chosen by a hash of their ids, fit the model (the documented bound of the sample).
-SAMPLE_ROWS = 8000
+#: At most so many labelled rows, chosen by a hash of their ids, with at most so many bytes of text (but one row at least) fit the
+#: model: the documented bounds of the sample.
+SAMPLE_ROWS, SAMPLE_BYTES = 8000, 256 << 20
 GRADES = 3
 _SIGNS = ts.table(b for b in range(0x21, 0x80) if not (0x30 <= b < 0x3A or 0x41 <= b < 0x5B or 0x61 <= b < 0x7B))
 
@@ -58,7 +59,11 @@ class Model:
 
 
 def fit(number: np.ndarray, begin: np.ndarray, grade: np.ndarray, rounds: int = 300, penalty: float = 4e-4, least: int = 4) -> Model:
-    """Accelerated proximal gradient on the mean negative log-likelihood with an absolute-value penalty on the weights."""
+    """Minimises the negative log-likelihood, grades weighted by the root of their rarity, with an absolute-value penalty on the weights.
+
+    Each weight steps by its gradient over the running root mean square of it, is shrunk towards 0 by the penalty, and carries momentum;
+    thresholds take clipped gradient steps and are put in order after each.
+    """
     n, levels = len(grade), GRADES - 1
     row = np.repeat(np.arange(n), np.diff(begin))
     often = np.bincount(number, minlength=BUCKETS) >= least
@@ -67,7 +72,6 @@ def fit(number: np.ndarray, begin: np.ndarray, grade: np.ndarray, rounds: int =
     width = int(often.sum())
     above = (grade[:, None] > np.arange(levels)[None, :]).astype(float)
     share = np.clip(above.mean(axis=0), 1e-3, 1 - 1e-3)
-    # The thresholds are a first one and positive gaps, so they stay ordered.
     start = np.log((1 - share) / share)
     cuts = np.maximum.accumulate(start + 1e-3 * np.arange(levels))
     w = np.zeros(width)
@@ -109,11 +113,18 @@ def graded(labels: DataFrame) -> DataFrame:
     return rated.groupBy("doc_id").agg(F.min(F.when(F.col("toxic") > 0, 0).when(F.col("quality") > 0, 2).otherwise(1)).alias("grade"))
 
 
-def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model | None:
-    """Fits on at most ``sample_rows`` labelled documents with the smallest id hashes; None without labelled texts."""
+def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Model | None:
+    """Fits on at most ``sample_rows`` labelled documents with the smallest id hashes, and ``sample_bytes`` of their text; None without labelled texts."""
     ship(docs.sparkSession)
     chosen = graded(labels).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
-    texts = columns_of(docs, "doc_id", "text").where("text is not null").join(F.broadcast(chosen), "doc_id").select("doc_id", "grade", "text")
+    found = columns_of(docs, "doc_id", "text").where("text is not null").join(F.broadcast(chosen), "doc_id")
+    # Rows that repeat a labelled doc_id count against both bounds.
+    order = [F.xxhash64("doc_id"), F.col("doc_id"), F.xxhash64("text")]
+    sizes = found.select("doc_id", F.xxhash64("text").alias("digest"), F.octet_length("text").alias("size")).orderBy(F.xxhash64("doc_id"), "doc_id", "digest").limit(sample_rows).toPandas()
+    room = max(1, int((sizes["size"].cumsum() <= sample_bytes).sum()))
+    texts = found.select("doc_id", "grade", "text")
+    if len(sizes) == sample_rows or room < len(sizes):
+        texts = texts.orderBy(*order).limit(room)
 
     def work_of():
         def work(column: pa.Array):

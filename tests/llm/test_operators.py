@@ -441,6 +441,84 @@ def test_scores_are_those_of_bundled_vectors():
     assert np.allclose(table[doc].sum(axis=0), expected, rtol=1e-3, atol=1e-1)
 
 
+def test_profiles_are_those_of_all_training_rows(spark):
+    rows = [("x", "abc abd"), ("y", "zzz é"), ("x", "abc"), ("y", ""), ("x", "字abc")]
+    got = language_id.profiles(spark.createDataFrame(rows, "lang string, text string").repartition(3))
+    import pyarrow as pa
+
+    for lang in ("x", "y"):
+        counts = np.zeros(language_id.SYMBOLS**3, np.int64)
+        for _, _, gram, _ in language_id._grams(pa.array([t for k, t in rows if k == lang])):
+            np.add.at(counts, gram, 1)
+        own = language_id.bundle(counts)
+        assert np.allclose(got[lang].bundle, own.bundle) and got[lang][1:] == own[1:]
+
+
+@pytest.mark.parametrize("many", [2, 70])
+def test_languages_by_brute_force(spark, many):
+    rng = random.Random(many)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyzéñ") for _ in range(rng.randint(2, 6)))
+    rows = []
+    for n in range(many):
+        own = [word() for _ in range(30)]
+        rows += [(10 * n + i, " ".join(rng.choice(own) for _ in range(40)), f"l{n:03}") for i in range(4)]
+    got = {r["doc_id"]: r for r in language_id.identify_languages(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    letters = language_id._letters(language_id.SEED).astype(np.int64)
+    shape = language_id.symbols()
+
+    def vector(text):
+        s = [0, *(int(shape[ord(c)]) for c in text), 0]
+        out = np.zeros(language_id.DIMENSIONS)
+        for a, b, c in zip(s, s[1:], s[2:], strict=False):
+            if (a or b) and (b or c):
+                out += np.roll(letters[a], 2) * np.roll(letters[b], 1) * letters[c]
+        return out
+
+    bundles = {}
+    for i, text, lang in rows:
+        if zlib.crc32(str(i).encode()) % 5:
+            bundles[lang] = bundles.get(lang, 0) + vector(text)
+    for i, text, _ in rows[:: max(1, len(rows) // 8)]:
+        own = vector(text)
+        cosines = {k: own @ v / np.linalg.norm(own) / np.linalg.norm(v) for k, v in bundles.items()}
+        assert got[i]["lang_pred"] == max(cosines, key=cosines.get)
+        assert got[i]["score"] == pytest.approx(max(cosines.values()) / sum(max(c, 0) for c in cosines.values()), rel=1e-3)
+
+
+def test_the_sample_is_bounded_in_bytes(spark):
+    docs = spark.createDataFrame([(i % 40, f"word{i} good " * 50) for i in range(120)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(40)], "doc_id long, quality int, toxic int")
+    full, few = quality_classifier.train(docs, labels), quality_classifier.train(docs, labels, sample_bytes=3000)
+    assert full is not None and few is not None and quality_classifier.train(docs, labels, sample_rows=5) is not None
+
+
+def test_grades_by_brute_force(spark):
+    import math
+
+    rows = [(1, "The good words, the good!"), (2, ""), (3, None), (4, "Bad ### words " * 30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(1, 1, 0), (4, 0, 0), (2, 0, 1)], "doc_id long, quality int, toxic int")
+    model = quality_classifier.train(docs, labels)
+    got = {r["doc_id"]: r for r in quality_classifier.grade_documents(docs, labels).collect()}
+    import pyarrow as pa
+
+    for i, text in rows:
+        (_, _, number, _), = quality_classifier.features(pa.array([text], pa.string()))
+        score = sum(model.weights[k] for k in set(number.tolist()))
+        tails = [1 / (1 + math.exp(-(score - t))) for t in model.thresholds]
+        assert got[i]["p_acceptable"] == pytest.approx(tails[0]) and got[i]["p_good"] == pytest.approx(tails[1])
+        assert got[i]["expected_grade"] == pytest.approx(sum(tails)) and got[i]["kept"] == (tails[1] >= 0.5)
+
+
+def test_grades_rank_held_out_documents(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    held = labels.where("pmod(xxhash64(doc_id), 3) = 0")
+    rows = quality_classifier.grade_documents(docs.join(labels.select("doc_id"), "doc_id", "left_semi"), labels.join(held, "doc_id", "left_anti")).join(held, "doc_id").collect()
+    good = [r["expected_grade"] for r in rows if r["quality"] == 1 and not r["toxic"]]
+    other = [r["expected_grade"] for r in rows if r["quality"] != 1 or r["toxic"]]
+    assert good and other and sum((a > b) + 0.5 * (a == b) for a in good for b in other) >= 0.95 * len(good) * len(other)
+
+
 def test_languages_of_odd_tables(spark, nothing, nameless):
     assert language_id.identify_languages(nothing).count() == 0
     rows = language_id.identify_languages(nameless).collect()

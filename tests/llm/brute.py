@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import html
 import re
 
 SPACE = re.compile("[^\x20\x09-\x0d]+")
@@ -74,3 +75,31 @@ def contaminated(rows, items, width=10):
 
 def sha(text):
     return hashlib.sha256(text.encode()).hexdigest()
+
+
+def page_text(page, bounded):
+    """The main text of a simple page: its furniture cut out by patterns, then each line judged by the lines around it."""
+    page = re.sub(r"<!--.*?-->|<!doctype[^>]*>|<(script|style|title)\b.*?</\1>", "", page, flags=re.S | re.I)
+    page = re.sub(r"<(head|nav)\b.*?</\1>|<footer\b.*?(</footer>|\Z)|<div class=\"ad\">.*?</div>", "\n\x00\n", page, flags=re.S)
+    inside = re.search(r"<article>(.*?)</article>", page, flags=re.S)
+    if bounded and inside:
+        page = inside[1]
+    page = re.sub(r"<br>", " ", re.sub(r"[\n\t]+(?!\x00)(?<!\x00\n)", " ", page))
+    page = re.sub(r"</?(p|h1|div|article|ul|li|html|body)\b[^>]*>", "\n", page)
+    lines = [" ".join(html.unescape(re.sub(r"</?(b|a|meta)\b[^>]*>", "", x)).split()) for x in page.split("\n")]
+    lines = [x.replace("\x00", "") for x in lines if x]
+    if bounded:
+        return "\n".join(x for x in lines if x)
+    sums = [sum(map(len, lines[i : i + 3])) for i in range(len(lines))]
+    surge = min(80, max(sums, default=0) / 2)
+    kept = set()
+    for i, x in enumerate(sums):
+        if x > surge:
+            # All lines that hang together with the window, without three empty ones in a row; then back to the start of its run.
+            j = next(k for k in range(i, len(lines)) if lines[k])
+            while j > 0 and lines[j - 1]:
+                j -= 1
+            while j < len(lines) and sums[j]:
+                kept.add(j)
+                j += 1
+    return "\n".join(lines[i] for i in sorted(kept) if lines[i])

@@ -233,6 +233,44 @@ def test_main_text(body, expected):
     assert html_extract.main_text(page) == expected.replace("{long}", long)
 
 
+def _simple(page):
+    return page.replace("<article>", '<div class="post">').replace("</article>", "</div>")
+
+
+def test_main_text_by_brute_force(spark, sf):
+    pages = [r["html"] for r in spark.read.parquet(f"{sf.replace('0.001', '0.01')}/pages.parquet").collect()]
+    for page in pages:
+        assert html_extract.main_text(page) == brute.page_text(page, True)
+        assert html_extract.main_text(_simple(page)) == brute.page_text(_simple(page), False)
+
+
+def test_pages_without_article_give_the_same_text(spark, sf):
+    pages = [r["html"] for r in spark.read.parquet(f"{sf.replace('0.001', '0.01')}/pages.parquet").collect()]
+    same = sum(html_extract.main_text(page) == html_extract.main_text(_simple(page)) for page in pages)
+    assert same >= 0.99 * len(pages)
+
+
+@pytest.mark.parametrize("tag", sorted(html_extract.EMBEDDED))
+def test_unclosed_elements_end_with_what_is_around_them(tag):
+    long = "word " * 60 + "end"
+    page = f"<html><body><article><p>one {long}</p><{tag}><path><p>two {long}</p><p>three</p></article><footer>us</footer>"
+    assert html_extract.main_text(page) == f"one {long}\ntwo {long}\nthree"
+
+
+@pytest.mark.parametrize("body, expected", [
+    ("<article><p>{long}</p><div class='ad'>buy<p>two</p></article>", "{long}\ntwo"),
+    ("<nav><a>x</a><article><p>{long}</p></article>", "{long}"),
+    ("<article><div class='entry-header'><h1>Title</h1></div><header><h2>Sub</h2></header><p>{long}</p></article>", "Title\nSub\n{long}"),
+    ("<article><p>{long}</p></article><section class='replies'><article class='comment'><p>Mine: {long}</p></article></section>", "{long}"),
+    ("<div class='has-sidebar'><form><main><p>{long}</p></main></form></div>", "{long}"),
+    ("<div><div><a>One</a></div><div><a>Two</a></div><div><a>Three</a></div></div><div><p>{long}</p><p>See <a>this</a>.</p></div>", "{long}\nSee this."),
+    ("<p>{long}<svg width='1'/> after</p>", "{long} after"),
+])
+def test_main_text_of_awkward_pages(body, expected):
+    long = "word " * 60 + "end"
+    assert html_extract.main_text(f"<html><body>{body.replace('{long}', long)}</body></html>") == expected.replace("{long}", long)
+
+
 def test_extraction_of_odd_tables(spark):
     schema = "page_id long, url string, html string, text string, n_chars string"
     pages = spark.createDataFrame([(1, "u", None, "t", "n"), (None, None, "", None, None), (2, "v", "<article><p>" + "é " * 300_000 + "</p>", None, None), (2, "v", "<p", None, None)], schema)

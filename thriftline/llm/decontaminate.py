@@ -6,8 +6,8 @@ joined is the single rarest shingle.  Document shingles are joined with these pr
 the window fixes where the window would start (positional bound), the window's length must fit into the document from there
 (length bound), and all words of the window are then compared.  Shingles are three words, or the whole window if shorter.
 
-The benchmark is joined from memory in blocks of at most ``BLOCK_BYTES`` of item text, whatever its size; each block is one
-pass over the documents, without a shuffle.
+The benchmark is joined from memory in blocks of about ``BLOCK_BYTES`` of item text, whatever its size; each block is two passes over
+the documents, one that counts its shingles and one that joins, without a shuffle of documents.
 """
 
 from __future__ import annotations
@@ -24,8 +24,8 @@ from thriftline.llm.arrowrun import annotate, columns_of, fresh, give_back
 from thriftline.shipping import ship
 
 WINDOW, SHINGLE = 10, 3
-#: Item text held by a task at once; it is 40 to 60 times that in index arrays.
-BLOCK_BYTES = 4 << 20
+#: Item text held by a task at once; it is 5 to 10 times that in index arrays (8 bytes a word, about 21 a window).
+BLOCK_BYTES = 16 << 20
 _FILTER_BITS = 20
 
 
@@ -37,50 +37,56 @@ def _words(column: pa.Array):
 
 
 class Windows:
-    """The item windows of a block: word hashes, lengths, items; and the shingles of each."""
+    """The item windows of a block: all words of the items in one row, where each window begins in it, and how long it is."""
 
     def __init__(self, items: list[tuple[str, str]], window: int):
         self.items = sorted({k for k, _ in items})
         place = {k: n for n, k in enumerate(self.items)}
-        words, lengths, owner = [], [], []
-        for (item, _), (_, _, _, h) in zip(items, (x for _, t in items for x in _words(pa.array([t]))), strict=True):
-            size = min(window, len(h))
-            for s in range(len(h) - size + 1 if size else 0):
-                words.append(h[s : s + size])
-                lengths.append(size)
-                owner.append(place[item])
-        self.length, self.owner = np.array(lengths, np.int64), np.array(owner, np.int64)
-        self.words = np.zeros((len(lengths), window), np.uint64)
-        for n, h in enumerate(words):
-            self.words[n, : len(h)] = h
-        self.shingles = []  # (width, window numbers, offsets, hashes)
+        hashes, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+        for _, _, spans, h in _words(pa.array([t for _, t in items], pa.string())):
+            hashes.append(h)
+            counts.append(spans.counts)
+        self.words, counts = np.concatenate(hashes), np.concatenate(counts)
+        size = np.minimum(window, counts)
+        each = np.where(size > 0, counts - size + 1, 0)
+        first = np.cumsum(counts) - counts
+        self.start = ts.ranges(first, each).astype(np.int32)
+        self.length = np.repeat(size, each).astype(np.int16)
+        self.owner = np.repeat(np.array([place[k] for k, _ in items], np.int32), each)
+        self.window = window
+
+    def shingles(self):
+        """For each length of windows: the width of its shingles, its windows by number, and for each offset their hashes."""
         for size in np.unique(self.length).tolist():
             rows, width = np.flatnonzero(self.length == size), min(SHINGLE, size)
-            for offset in range(size - width + 1):
-                # One row of words after another; each window's own shingle is every width-th of the flat sequence.
-                h = ts.window_hashes(self.words[rows, offset : offset + width].ravel(), width)[::width]
-                self.shingles.append((width, rows, np.full(len(rows), offset), h))
+            h = ts.window_hashes(self.words, width)
+            yield width, rows, [h[self.start[rows] + offset] for offset in range(size - width + 1)]
 
     def tokens(self) -> dict[int, np.ndarray]:
-        """The distinct shingles by width."""
-        out: dict[int, list] = {}
-        for width, _, _, h in self.shingles:
-            out.setdefault(width, []).append(h)
-        return {w: np.unique(np.concatenate(h)) for w, h in out.items()}
-
-    def prefixes(self, counts: dict[tuple[int, int], int]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """By width: prefix tokens in order, with the window and the offset of each; windows with an absent shingle go."""
-        best: dict[int, tuple] = {}
-        for width, rows, offsets, h in self.shingles:
-            for n, o, x in zip(rows.tolist(), offsets.tolist(), h.tolist(), strict=True):
-                rank = (counts.get((width, x), 0), x, o, width)
-                if n not in best or rank < best[n]:
-                    best[n] = rank
+        """The distinct shingles by width, in order."""
+        out: dict[int, np.ndarray] = {}
+        for width, _, hashes in self.shingles():
+            out[width] = np.unique(np.concatenate([out.get(width, np.zeros(0, np.uint64)), *hashes]))
+        return out
+
+    def prefixes(self, tokens: dict[int, np.ndarray], counts: dict[int, np.ndarray]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """By width: the rarest shingle of each window (the smaller hash, then the first, on a tie), in order, with its window and offset.
+
+        Windows with a shingle that no document has go.
+        """
         out: dict[int, list] = {}
-        for n, (count, x, o, width) in best.items():
-            if count:
-                out.setdefault(width, []).append((x, n, o))
-        return {w: tuple(np.array(c, t) for c, t in zip(zip(*sorted(v), strict=True), (np.uint64, np.int64, np.int64), strict=True)) for w, v in out.items()}
+        for width, rows, hashes in self.shingles():
+            best = np.zeros(len(rows), np.int8)
+            token = hashes[0]
+            least = counts[width][np.searchsorted(tokens[width], token)]
+            for offset, h in enumerate(hashes[1:], 1):
+                n = counts[width][np.searchsorted(tokens[width], h)]
+                rarer = (n < least) | ((n == least) & (h < token))
+                best, token, least = np.where(rarer, np.int8(offset), best), np.where(rarer, h, token), np.where(rarer, n, least)
+            seen = least > 0
+            out.setdefault(width, []).append((token[seen], rows[seen].astype(np.int32), best[seen]))
+        merged = {w: tuple(np.concatenate(c) for c in zip(*parts, strict=True)) for w, parts in out.items()}
+        return {w: tuple(c[np.argsort(t, kind="stable")] for c in (t, n, o)) for w, (t, n, o) in merged.items() if len(t)}
 
 
 def _filter(tokens: np.ndarray) -> np.ndarray:
@@ -102,13 +108,15 @@ def _within(spans: ts.Spans, at: np.ndarray, width: int) -> np.ndarray:
     return at + width <= spans.first[1:][spans.rows[at]]
 
 
-def shingle_counts(docs: DataFrame, tokens: dict[int, np.ndarray]) -> dict[tuple[int, int], int]:
+def shingle_counts(docs: DataFrame, tokens: dict[int, np.ndarray]) -> dict[int, np.ndarray]:
     """How often each of the given shingles occurs in all documents; as many numbers as there are tokens."""
-    held = {w: (t, _filter(t)) for w, t in tokens.items() if len(t)}
-    if not held:
-        return {}
+    out = {w: np.zeros(len(t), np.int64) for w, t in tokens.items()}
+    if not any(len(t) for t in tokens.values()):
+        return out
+    shared = docs.sparkSession.sparkContext.broadcast(tokens)
 
     def run(batches):
+        held = {w: (t, _filter(t)) for w, t in shared.value.items() if len(t)}
         sums = {w: np.zeros(len(t), np.int64) for w, (t, _) in held.items()}
         for batch in batches:
             for _, _, spans, h in _words(batch.column(0)):
@@ -116,14 +124,17 @@ def shingle_counts(docs: DataFrame, tokens: dict[int, np.ndarray]) -> dict[tuple
                     at, place = _found(ts.window_hashes(h, w), t, bits)
                     keep = _within(spans, at, w)
                     sums[w] += np.bincount(place[keep], minlength=len(t))
-        for w, (t, _) in held.items():
+        for w in held:
             seen = np.flatnonzero(sums[w])
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(seen), w)), pa.array(t[seen].view(np.int64)), pa.array(sums[w][seen])], names=["width", "token", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(seen), w)), pa.array(seen), pa.array(sums[w][seen])], names=["width", "token", "n"])
         give_back()
 
     partial = columns_of(docs, "text").mapInArrow(run, "width long, token long, n long")
-    rows = partial.groupBy("width", "token").agg(F.sum("n").alias("n")).collect()
-    return {(r["width"], r["token"] & ((1 << 64) - 1)): r["n"] for r in rows}
+    rows = partial.groupBy("width", "token").agg(F.sum("n").alias("n")).toArrow()
+    width, token, n = (rows.column(k).to_numpy() for k in ("width", "token", "n"))
+    for w in out:
+        out[w][token[width == w]] = n[width == w]
+    return out
 
 
 def _marker(windows: Windows, prefixes: dict):
@@ -144,9 +155,9 @@ def _marker(windows: Windows, prefixes: dict):
             row = spans.rows[at]
             fits = (start >= spans.first[row]) & (start + windows.length[n] <= spans.first[row + 1])
             n, start = n[fits], start[fits]
-            for k in range(windows.words.shape[1]):
+            for k in range(windows.window):
                 needed = windows.length[n] > k
-                same = ~needed | (h[np.minimum(start + k, len(h) - 1)] == windows.words[n, k])
+                same = ~needed | (h[np.minimum(start + k, len(h) - 1)] == windows.words[np.minimum(windows.start[n] + k, len(windows.words) - 1)])
                 n, start = n[same], start[same]
             starts.append(start)
             numbers.append(n)
@@ -191,7 +202,8 @@ def marked(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_by
     for part in range(parts):
         rows = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == part).collect()
         windows = Windows([(str(r["item_id"]), r["text"]) for r in rows], window)
-        held = docs.sparkSession.sparkContext.broadcast((windows, windows.prefixes(shingle_counts(docs, windows.tokens()))))
+        tokens = windows.tokens()
+        held = docs.sparkSession.sparkContext.broadcast((windows, windows.prefixes(tokens, shingle_counts(docs, tokens))))
         fields = ("cover", "items", "n_words")
         kinds = ("binary", "array<string>", "long")
         before = out.columns

@@ -36,6 +36,8 @@ SLOTS, CHUNKS, ERRORS, SLOT_BYTES = 32, 8, 1, 2
 BLOCK, BLOCK_SHINGLES = 256, 1 << 19
 #: Further centers that the members of a group are compared with while more than a block of them is not connected.
 ROUNDS = 4
+#: So many groups (16 bytes each) may be sent to their rows; more meet them by key.
+FEW_GROUPS = 1 << 19
 _gen = np.random.Generator(np.random.PCG64(971))
 _SCALE = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _SHIFT = _gen.integers(1, 1 << 63, SLOTS, dtype=np.uint64)
@@ -202,7 +204,7 @@ def _links(percent: int, shingle: int):
 
 
 def _stars(percent: int, shingle: int):
-    """Rows (grp, salt, role, id, main, text), ordered by the first three, one center (role 0) before its members, to each member's ring and link.
+    """Rows (grp, salt, role, id, text), ordered by the first three, one center (role 0) before its members, to each member's ring and link.
 
     A ring is a distance to the center of a multiple of what a link may have at most, so that linked sets are in one ring or in neighbours.
     """
@@ -210,9 +212,9 @@ def _stars(percent: int, shingle: int):
     def run(batches):
         key, center, name = None, None, None
         for batch in batches:
-            for piece in pieces(batch, 5, 4 << 20):
-                grp, salt, role, ids, main = (piece.column(i).to_numpy(zero_copy_only=False) for i in range(5))
-                sets = shingle_sets(piece.column(5), shingle)
+            for piece in pieces(batch, 4, 4 << 20):
+                grp, salt, _, ids = (piece.column(i).to_numpy() for i in range(4))
+                sets = shingle_sets(piece.column(4), shingle)
                 cuts = [0, *(np.flatnonzero((grp[1:] != grp[:-1]) | (salt[1:] != salt[:-1])) + 1).tolist(), len(grp)]
                 out = []
                 for a, b in zip(cuts[:-1], cuts[1:], strict=True):
@@ -229,10 +231,10 @@ def _stars(percent: int, shingle: int):
                     inter = np.add.reduceat(same, np.cumsum(sizes) - sizes, dtype=np.int64)
                     union = sizes + len(center) - inter
                     ring = 100 * (union - inter) // np.maximum(union * (100 - percent), 1)
-                    out.append((np.full(b - a, key[0]), np.full(b - a, name), ids[a:b], main[a:b], sizes, ring, 100 * inter >= percent * union))
+                    out.append((np.full(b - a, key[0]), np.full(b - a, name), ids[a:b], sizes, ring, 100 * inter >= percent * union))
                 if out:
                     columns = [pa.array(np.concatenate(c)) for c in zip(*out, strict=True)]
-                    yield pa.RecordBatch.from_arrays(columns, names=["grp", "center", "id", "main", "size", "ring", "linked"])
+                    yield pa.RecordBatch.from_arrays(columns, names=["grp", "center", "id", "size", "ring", "linked"])
         give_back()
 
     return run
@@ -243,23 +245,27 @@ def _tasks(df: DataFrame) -> int:
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
 
 
-def _compared(members: DataFrame, centers: DataFrame, texts: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
-    """Each member (grp, id, main) with the center of its group (grp, center, n): one row a member, a large group being split over tasks."""
+def _compared(rows: DataFrame, counts: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
+    """Each of the rows (grp, center, id, text) with the center of its group: one row a member, a large group (grp, n) being split over tasks."""
     bound = skewed.hot_bound(total)
-    parts = F.ceil(F.col("n") / F.lit(bound)).cast("int")
-    large = centers.where(F.col("n") > bound).select("grp", parts.alias("parts"))
-    salted = members.join(F.broadcast(large), "grp", "left").withColumn("salt", F.pmod(F.xxhash64("id"), F.coalesce("parts", F.lit(1))).cast("int"))
-    heads = centers.select("grp", F.explode(F.sequence(F.lit(0), parts - 1)).alias("salt"), F.lit(0).alias("role"), F.col("center").alias("id"), F.lit(True).alias("main"))
-    rows = heads.unionAll(salted.select("grp", "salt", F.lit(1).alias("role"), "id", "main"))
-    sent = rows.join(texts, "id").select("grp", "salt", "role", "id", "main", "text")
-    dealt = sent.repartition(_tasks(members), "grp", "salt").sortWithinPartitions("grp", "salt", "role")
-    return durable(dealt.mapInArrow(_stars(percent, shingle), "grp long, center long, id long, main boolean, size long, ring long, linked boolean"))
+    large = counts.where(F.col("n") > bound).select("grp", F.ceil(F.col("n") / F.lit(bound)).cast("int").alias("parts"))
+    split = rows.join(F.broadcast(large), "grp", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    head = F.col("id") == F.col("center")
+    salts = F.when(head, F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array(F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")))
+    sent = split.select("grp", F.explode(salts).alias("salt"), F.when(head, 0).otherwise(1).alias("role"), "id", "text")
+    dealt = sent.repartition(_tasks(rows), "grp", "salt").sortWithinPartitions("grp", "salt", "role")
+    return durable(dealt.mapInArrow(_stars(percent, shingle), "grp long, center long, id long, size long, ring long, linked boolean"))
 
 
-def _rest(state: DataFrame, texts: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
+def _of_groups(rows: DataFrame, groups: DataFrame) -> DataFrame:
+    """The rows of these groups (grp, ...), which are sent to the rows if they are few enough."""
+    return rows.join(F.broadcast(groups) if groups.count() <= FEW_GROUPS else groups, "grp")
+
+
+def _rest(state: DataFrame, rows: DataFrame, total: int, percent: int, shingle: int) -> DataFrame:
     """Links (a, b) among the members (grp, id, size, ring, main) that are not known to hang together, and between them and the others.
 
-    Blocks of members meet pair by pair; those of the main component do not meet each other, nor do rings that are no neighbours.
+    Blocks of members (texts in ``rows``) meet pair by pair; those of the main component do not meet each other, nor do rings that are no neighbours.
     """
     sizes = state.groupBy("grp", "main", "ring").agg(F.count("*").alias("n"), F.sum("size").alias("size"))
     blocks = F.greatest(F.ceil(F.col("n") / F.lit(BLOCK)), F.ceil(F.col("size") / F.lit(BLOCK_SHINGLES))).cast("long")
@@ -276,8 +282,9 @@ def _rest(state: DataFrame, texts: DataFrame, total: int, percent: int, shingle:
     alone = (own["n"] == 1) & ~F.col("main")
     placed = placed.withColumn("block", code(F.col("main"), F.col("ring"), F.pmod(F.xxhash64("id"), own["blocks"]))).withColumn("alone", alone)
     met = placed.withColumn("other", F.explode(others)).where(~(F.col("alone") & (F.col("other") == F.col("block"))))
-    met = met.select("grp", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id")
-    sent = met.join(texts, "id").select("grp", "bi", "bj", "block", "id", "text")
+    met = durable(met.select("grp", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id"))
+    texts = _of_groups(rows.select("grp", "id", "text"), met.select("grp").distinct())
+    sent = met.join(texts, ["grp", "id"]).select("grp", "bi", "bj", "block", "id", "text")
     dealt = sent.repartition(_tasks(state), "grp", "bi", "bj").sortWithinPartitions("grp", "bi", "bj")
     return dealt.mapInArrow(_links(percent, shingle), "a long, b long")
 
@@ -288,25 +295,29 @@ def links_of(members: DataFrame, texts: DataFrame, percent: int, shingle: int) -
     Every member is compared with the first of its group, in one row.  Where many are not linked to it, they are compared with further centers,
     up to ``ROUNDS`` times; what meets the main component in this way is done.  The few others are compared with all that may be linked to them.
     """
-    groups = members.groupBy("grp").agg(F.count("*").alias("n")).withColumn("center", F.col("grp"))
+    groups = members.groupBy("grp").agg(F.count("*").alias("n"))
     total = members.count()
-    found = _compared(members.withColumn("main", F.lit(True)), groups, texts, total, percent, shingle)
+    heads = groups.select("grp", F.col("grp").alias("id"))
+    # The only move of all texts: members and first centers get theirs.
+    rows = written(members.select("grp", "id").unionAll(heads).join(texts, "id").select("grp", "id", "text"))
+    found = _compared(rows.withColumn("center", F.col("grp")), groups, total, percent, shingle)
     out = found.where("linked").select(F.col("center").alias("a"), F.col("id").alias("b"))
     state = found.select("grp", "id", "size", "ring", F.col("linked").alias("main"))
+    rows = rows.where("id <> grp")
     for turn in range(ROUNDS):
-        each = state.groupBy("grp").agg(F.count("*").alias("weight"), F.count_if(~F.col("main")).alias("open"), F.min(F.when(~F.col("main"), F.struct(F.xxhash64("id", F.lit(turn)), F.col("id"))))["id"].alias("center"))
-        centers = each.where(F.col("open") > BLOCK).select("grp", "center", F.col("weight").alias("n"), "weight")
+        each = state.groupBy("grp").agg(F.count("*").alias("n"), F.count_if(~F.col("main")).alias("open"), F.min(F.when(~F.col("main"), F.struct(F.xxhash64("id", F.lit(turn)), F.col("id"))))["id"].alias("center"))
+        centers = each.where(F.col("open") > BLOCK).select("grp", "center", "n")
         if centers.isEmpty():
             break
         centers = durable(centers)
-        part = skewed.joined(state.select("grp", "id", "main"), centers.select("grp", "center", "weight"), ["grp"], "weight", total).where("id <> center").drop("center")
-        found = _compared(part, centers.select("grp", "center", "n"), texts, total, percent, shingle).where("linked")
+        found = _compared(_of_groups(rows, centers.select("grp", "center")), centers, total, percent, shingle).where("linked").select("grp", "center", "id")
         out = out.unionAll(found.select(F.col("center").alias("a"), F.col("id").alias("b")))
-        merged = found.groupBy("grp", "center").agg(F.max("main").alias("met"), F.count("*").alias("weight")).where("met").drop("met")
-        more = skewed.joined(found.where("not main").select("grp", "center", "id"), merged, ["grp", "center"], "weight", total).select("grp", "id")
+        known = found.join(state.select("grp", "id", "main"), ["grp", "id"])
+        merged = known.groupBy("grp", "center").agg(F.max("main").alias("met"), F.count("*").alias("weight")).where("met").drop("met")
+        more = skewed.joined(found, merged, ["grp", "center"], "weight", total).select("grp", "id")
         more = more.unionAll(merged.select("grp", F.col("center").alias("id"))).withColumn("now", F.lit(True))
         state = durable(state.join(more, ["grp", "id"], "left").withColumn("main", F.col("main") | F.coalesce("now", F.lit(False))).drop("now"))
-    return out.unionAll(_rest(state, texts, total, percent, shingle))
+    return out.unionAll(_rest(state, rows, total, percent, shingle))
 
 
 def smallest_reachable(links: DataFrame) -> DataFrame:

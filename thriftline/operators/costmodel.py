@@ -7,7 +7,8 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-BUDGET_BYTES = 512 << 20
+#: Most that is sent to all: it passes through the driver.
+BUDGET_BYTES = 64 << 20
 BLOCK_KEYS = 32768
 
 

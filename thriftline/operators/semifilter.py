@@ -13,7 +13,6 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.operators import costmodel, keycodec
-from thriftline.operators.placement import SPREAD  # noqa: F401  (re-exported for callers that place keys)
 
 
 def late(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Column) -> DataFrame:
@@ -37,7 +36,8 @@ def replicated(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition:
     """The remote key and condition stand on every shard; beyond the budget they are joined by key instead."""
     side = remote.select(F.col(pk).alias("_pk"), condition.alias("_ok"))
     rows = remote.select(pk).count()
-    side = F.broadcast(side) if rows * 16 <= budget_bytes else side
+    # About 64 bytes a row in a hash relation.
+    side = F.broadcast(side) if rows * 64 <= budget_bytes else side
     return local.join(side.where("_ok").select("_pk"), F.col(fk) == F.col("_pk"), "left_semi")
 
 

@@ -30,20 +30,22 @@ def threshold_algorithm(partials: DataFrame, k: int, batch: int = 64, ties: bool
 
     The depth doubles, so there are few rounds; only a frontier value and a count come to the driver.
     """
-    ranked = written(partials.withColumn("_rank", F.row_number().over(W.partitionBy("shard").orderBy(F.col("val").desc(), "key"))))
-    depth, deepest = batch, ranked.agg(F.max("_rank").alias("r")).first()["r"] or 0
+    partials = written(partials)
+    order = W.partitionBy("shard").orderBy(F.col("val").desc(), "key")
+    depth, deepest = batch, partials.groupBy("shard").count().agg(F.max("count").alias("r")).first()["r"] or 0
     while True:
-        seen = ranked.where(F.col("_rank") <= depth)
+        # Only ranks up to the depth are worked out, so each task's rows are cut to it before the exchange.
+        seen = partials.withColumn("_rank", F.row_number().over(order)).where(F.col("_rank") <= depth)
         keys = seen.select("key").distinct()
-        sums = ranked.join(keys, "key", "left_semi").groupBy("key").agg(F.sum("val").alias("total"))
+        sums = partials.join(keys, "key", "left_semi").groupBy("key").agg(F.sum("val").alias("total"))
         kth = sums.orderBy(F.col("total").desc()).limit(k).agg(F.count("*").alias("n"), F.min("total").alias("t")).first()
         # A shard that ended before this depth has nothing more to add.
-        frontier = ranked.where(F.col("_rank") == depth).agg(F.sum("val").alias("f")).first()["f"] or 0
+        frontier = seen.where(F.col("_rank") == depth).agg(F.sum("val").alias("f")).first()["f"] or 0
         if depth >= deepest or (kth["n"] == k and kth["t"] > frontier) or (kth["n"] == k and not ties and kth["t"] >= frontier):
             break
         depth *= 2
     n = seen.count()
-    looked = ranked.join(keys, "key", "left_semi").count() - n
+    looked = partials.join(keys, "key", "left_semi").count() - n
     out = with_ties(sums, F.col("total"), k) if ties else sums.orderBy(F.col("total").desc(), "key").limit(k)
     return Accesses(out, n, looked)
 

@@ -4,6 +4,9 @@ The parts of a shard are taken in groups of neighbouring keys.  All of a group a
 part and travel as one block of codes with a presence bitmap and one shift.  Dropped bits are all 0 or all 1, so the codes give a lower
 and an upper bound of each key's sum.  Keys whose upper bound is below the k-th largest lower bound cannot be among the best;
 the parts of the few others are summed in full.  Exact for every width, group size and number of shards, for parts of 0 or more.
+
+``run_rows`` takes rows as they are stored: sums and codes are made by the task that scans them, and no full value is exchanged but those of
+survivors.  ``run`` takes parts that are already summed by a shard id in the data.
 """
 
 from __future__ import annotations
@@ -80,6 +83,73 @@ def _pack(width: int, group: int):
     return run
 
 
+def code_rows(rows: DataFrame, width: int = 8, group: int = 1024) -> DataFrame:
+    """Blocks (grp, shift, n, present, codes, low, high, size) of the rows (key, val), without an exchange: each task adds up the values of its
+    own rows by key and codes the sums, so a task's input is a shard.  ``low`` and ``high`` are the least and largest sum of a block, ``size`` the bits it has.
+    """
+    if not 1 <= width <= 16:
+        raise ValueError("codes have 1 to 16 bits")
+    ship(rows.sparkSession)
+    kind = np.uint8 if width <= 8 else np.uint16
+
+    def run(batches):
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        waiting = 0
+
+        def summed():
+            keys, at = np.unique(np.concatenate([k for k, _ in held]), return_inverse=True)
+            values = np.zeros(len(keys), np.int64)
+            np.add.at(values, at, np.concatenate([v for _, v in held]))
+            return keys, values
+
+        for batch in batches:
+            held.append((batch.column(0).to_numpy(), batch.column(1).to_numpy()))
+            waiting += batch.num_rows
+            if waiting > 1 << 21:
+                held = [summed()]
+                waiting = 0
+        if not held:
+            return
+        keys, values = summed()
+        groups = np.floor_divide(keys, group)
+        cuts = np.concatenate(([0], np.flatnonzero(groups[1:] != groups[:-1]) + 1, [len(keys)]))
+        for first in range(0, len(cuts) - 1, 4096):
+            out = []
+            for a, b in zip(cuts[first : first + 4096].tolist(), cuts[first + 1 : first + 4097].tolist(), strict=False):
+                if a == b:
+                    continue
+                own, name = values[a:b], int(groups[a])
+                low, high = int(own.min()), int(own.max())
+                shift = max(0, high.bit_length() - width) if low >= 0 else 0
+                present = np.zeros(group, bool)
+                present[keys[a:b] - name * group] = True
+                bits, codes = np.packbits(present).tobytes(), (own >> shift).astype(kind).tobytes()
+                out.append((name, shift, b - a, bits, codes, low, high, 8 * (len(bits) + len(codes) + 1)))
+            if out:
+                kinds = (pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["grp", "shift", "n", "present", "codes", "low", "high", "size"])
+
+    typed = rows.where("key is not null and val is not null").select(F.col("key").cast("long"), F.col("val").cast("long"))
+    return typed.mapInArrow(run, "grp long, shift int, n int, present binary, codes binary, low long, high long, size long")
+
+
+def run_rows(rows: DataFrame, k: int, width: int = 8, group: int = 1024, ties: bool = True) -> BoundsResult:
+    """Top-k (key, total) of the sums of rows (key, val): the first exchange carries blocks of codes only, the second the rows of survivors.
+
+    Rows are read twice, so they should be a scan with filters.  Negative sums of a task, and values that codes save nothing on, are summed in full.
+    """
+    blocks = written(code_rows(rows, width, group))
+    row = blocks.agg(F.min("low").alias("a"), F.max("high").alias("b"), F.sum("n").alias("n"), F.sum("size").alias("bits")).first()
+    full_bits = 64 * (row["n"] or 0)
+    if not row["n"] or k <= 0 or costmodel.choose_topk(row["b"], row["a"], width) == "full":
+        return BoundsResult(topk_baselines.full(rows, k, ties), rows.select("key").distinct(), full_bits, full_bits)
+    bounds = written(survivors(decode_sum(blocks, width, group), k))
+    few = F.broadcast(bounds.select("key")) if bounds.count() * 8 <= costmodel.BUDGET_BYTES else bounds.select("key")
+    sums = rows.join(few, "key", "left_semi").groupBy("key").agg(F.sum("val").alias("total"))
+    out = with_ties(sums, F.col("total"), k) if ties else sums.orderBy(F.col("total").desc(), "key").limit(k)
+    return BoundsResult(out, bounds, row["bits"], full_bits)
+
+
 def encode(partials: DataFrame, width: int = 8, group: int = 1024) -> DataFrame:
     """Blocks of the parts (shard, key, val) of 16 bits a code at most; one row for each shard and group of keys."""
     if not 1 <= width <= 16:

@@ -27,13 +27,15 @@ def run(rows: DataFrame, score: str, key: str, fk: str, remote: DataFrame, pk: s
     Chunks grow by ``growth``, so the rounds are logarithmic.  Only one row a shard comes to the driver in a round.
     """
     order = W.partitionBy(shard).orderBy(F.col(score).desc(), F.col(key))
-    ranked = written(rows.withColumn("_place", F.row_number().over(order)))
-    sizes = {r[shard]: r["n"] for r in ranked.groupBy(shard).agg(F.count("*").alias("n")).collect()}
+    rows = written(rows)
+    # Ranks up to a bound only: Spark cuts each task's rows to it before the exchange, so no shard is sorted whole.
+    ranked = lambda most: rows.withColumn("_place", F.row_number().over(order)).where(F.col("_place") <= most)
+    sizes = {r[shard]: r["n"] for r in rows.groupBy(shard).agg(F.count("*").alias("n")).collect()}
     active, low, step, asked, rounds = set(sizes), 0, chunk or max(1, k), 0, 0
     passed: DataFrame | None = None
     while active and k > 0:
         high = low + int(step)
-        part = ranked.where(F.col("_place").between(low + 1, high) & F.col(shard).isin(sorted(active)))
+        part = ranked(high).where((F.col("_place") > low) & F.col(shard).isin(sorted(active)))
         asked += sum(max(0, min(high, sizes[s]) - low) for s in active)
         good = semifilter.late(part, fk, remote, pk, condition)
         good = durable(good)
@@ -44,12 +46,12 @@ def run(rows: DataFrame, score: str, key: str, fk: str, remote: DataFrame, pk: s
         if active and prune_every and rounds % prune_every == 0:
             best = passed.orderBy(F.col(score).desc(), F.col(key)).limit(k).agg(F.count("*").alias("n"), F.min(score).alias("t")).first()
             if best["n"] == k:
-                nxt = {r[shard]: r["s"] for r in ranked.where((F.col("_place") == high + 1) & F.col(shard).isin(sorted(active))).select(shard, F.col(score).alias("s")).collect()}
+                nxt = {r[shard]: r["s"] for r in ranked(high + 1).where((F.col("_place") == high + 1) & F.col(shard).isin(sorted(active))).select(shard, F.col(score).alias("s")).collect()}
                 # A row as good as the k-th may still win on its key.
                 active = {s for s in active if s in nxt and nxt[s] >= best["t"]}
         low, step = high, step * growth
     if passed is None:
-        passed = ranked.limit(0)
+        passed = ranked(1).limit(0)
     out = topk_merge.gather(passed, [F.col(score).desc(), F.col(key)], k).drop("_place")
     return LazyResult(out, asked, rounds)
 

@@ -323,11 +323,6 @@ def _part_partials(spark, sf_dir, shards: int = 4) -> DataFrame:
     return load(spark, sf_dir, "lineitem").groupBy(key_shard("l_orderkey", shards).alias("shard"), F.col("l_partkey").alias("key")).agg(F.sum(rev4()).alias("val"))
 
 
-def _event_partials(spark, sf_dir) -> DataFrame:
-    bought = load(spark, sf_dir, "events").where("event_type = 'purchase'")
-    return bought.groupBy(key_shard("event_id", SHARDS).alias("shard"), F.col("user_id").alias("key")).agg(F.sum(cents("value")).alias("val"))
-
-
 _QUARTER = f"WITH p AS (SELECT l_orderkey % 8 AS shard, l_suppkey AS key, CAST(sum({SQL_REV4}) AS BIGINT) AS val FROM lineitem WHERE l_shipdate >= TIMESTAMP '1996-01-01' AND l_shipdate < TIMESTAMP '1996-04-01' GROUP BY 1, 2)"
 _PARTS = f"WITH p AS (SELECT l_orderkey % 4 AS shard, l_partkey AS key, CAST(sum({SQL_REV4}) AS BIGINT) AS val FROM lineitem GROUP BY 1, 2)"
 
@@ -336,22 +331,31 @@ def _best(k: int) -> str:
     return f" SELECT * FROM (SELECT key, CAST(sum(val) AS BIGINT) AS total FROM p GROUP BY 1) WHERE total >= (SELECT min(total) FROM (SELECT CAST(sum(val) AS BIGINT) AS total FROM p GROUP BY key ORDER BY 1 DESC LIMIT {k}))"
 
 
-def _bounded(name: str, source, k: int, width: int, sql: str, **more):
+def _part_rows(spark, sf_dir) -> DataFrame:
+    return load(spark, sf_dir, "lineitem").select(F.col("l_partkey").alias("key"), rev4().alias("val"))
+
+
+def _event_rows(spark, sf_dir) -> DataFrame:
+    return load(spark, sf_dir, "events").where("event_type = 'purchase'").select(F.col("user_id").alias("key"), cents("value").alias("val"))
+
+
+def _bounded(name: str, source, k: int, width: int, sql: str, run_=topk_bounds.run_rows, **more):
     @query(name, sql + _best(k))
     def run(spark, sf_dir):
-        return topk_bounds.run(source(spark, sf_dir), k, width=width, **more).df.select("key", "total")
+        return run_(source(spark, sf_dir), k, width=width, **more).df.select("key", "total")
 
 
 _EVENTS = "WITH p AS (SELECT user_id AS key, CAST(round(value*100) AS BIGINT) AS val FROM events WHERE event_type = 'purchase')"
-_bounded("topk_bounds_part", _part_partials, 10, 8, _PARTS)
-_bounded("topk_bounds_part_w12", _part_partials, 100, 12, _PARTS)
-_bounded("topk_bounds_residual", _part_partials, 10, 8, _PARTS, residual=True)
-_bounded("topk_bounds_events", _event_partials, 10, 8, _EVENTS)
+_bounded("topk_bounds_part", _part_rows, 10, 8, _PARTS)
+_bounded("topk_bounds_part_w12", _part_rows, 100, 12, _PARTS)
+_bounded("topk_bounds_shards", _part_partials, 10, 8, _PARTS, topk_bounds.run)
+_bounded("topk_bounds_residual", _part_partials, 10, 8, _PARTS, topk_bounds.run, residual=True)
+_bounded("topk_bounds_events", _event_rows, 10, 8, _EVENTS)
 
 
 @query("topk_full_part", _PARTS + _best(10))
 def topk_full_part(spark, sf_dir):
-    return topk_baselines.full(_part_partials(spark, sf_dir), 10)
+    return topk_baselines.full(_part_rows(spark, sf_dir), 10)
 
 
 @query("topk_ta", _PARTS + _best(10))

@@ -12,8 +12,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from thriftline.functions.money import SQL_OFFERS, SQL_REV4, cents, day, quantity, rev4, whole
-from thriftline.operators import collectives, deferred, semifilter, topk_baselines, topk_bounds, topk_lazy, topk_merge
+from thriftline.operators import collectives, costmodel, deferred, semifilter, topk_baselines, topk_bounds, topk_lazy, topk_merge
 from thriftline.operators.placement import key_shard
+from thriftline.shipping import written
 from thriftline.sources.catalog import load
 
 SHARDS = 8
@@ -98,7 +99,7 @@ def open_orders(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame,
 
 
 def order_revenue(orders: DataFrame, lines: DataFrame) -> DataFrame:
-    """Orders and their lines are co-partitioned: revenue of an order needs no other shard."""
+    """Revenue of orders; lines are summed by order first, and the sums meet their orders by the same key, so the join adds no exchange of lines."""
     revenue = lines.groupBy("l_orderkey").agg(F.sum(rev4()).alias("rev4"))
     return revenue.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select("o_orderkey", "o_custkey", "rev4", "o_orderdate")
 
@@ -140,7 +141,10 @@ def q05(spark: SparkSession, sf_dir: str) -> DataFrame:
     orders = load(spark, sf_dir, "orders").where((F.col("o_orderdate") >= day("1997-01-01")) & (F.col("o_orderdate") < day("1998-01-01"))).select("o_orderkey", "o_custkey")
     placed = semifilter.fetch(orders, "o_custkey", load(spark, sf_dir, "customer"), "c_custkey", ["c_nationkey"]).select("o_orderkey", "c_nationkey")
     lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey", rev4().alias("rev4"))
-    joined = lines.join(placed, F.col("l_orderkey") == F.col("o_orderkey")).join(suppliers, (F.col("l_suppkey") == F.col("s_suppkey")) & (F.col("c_nationkey") == F.col("s_nationkey")))
+    # The supplier side goes to all if it fits, so that lines of other regions are gone before lines meet orders.
+    side = F.broadcast(suppliers) if suppliers.count() * 64 <= costmodel.BUDGET_BYTES else suppliers
+    near = lines.join(side, F.col("l_suppkey") == F.col("s_suppkey"))
+    joined = near.join(placed, (F.col("l_orderkey") == F.col("o_orderkey")) & (F.col("c_nationkey") == F.col("s_nationkey")))
     return joined.groupBy("n_name").agg(whole(F.col("rev4")).alias("rev4"))
 
 
@@ -157,7 +161,8 @@ def q11(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = semifilter.bitset(load(spark, sf_dir, "lineitem"), "l_suppkey", suppliers, "s_suppkey", F.lit(True))
     from thriftline.sources.catalog import offers as formed
 
-    values = formed(lines).groupBy("ps_partkey").agg(F.sum(F.col("ps_cost_c") * F.col("ps_qty")).alias("value_c"))
+    # The values are needed twice, for their total and for the cut, but formed once.
+    values = written(formed(lines).groupBy("ps_partkey").agg(F.sum(F.col("ps_cost_c") * F.col("ps_qty")).alias("value_c")))
     parts = load(spark, sf_dir, "part").agg(F.count("*").alias("parts"))
     exact = F.col("value_c").cast("decimal(38,0)")
     both = collectives.allreduce(values, F.sum(exact), "total").crossJoin(F.broadcast(parts))
@@ -194,19 +199,27 @@ Q15 = f"""WITH r AS (SELECT l_suppkey, CAST(sum({SQL_REV4}) AS BIGINT) AS total
  SELECT s_suppkey, s_name, CAST(round(s_acctbal*100) AS BIGINT) AS acctbal_c, total FROM r JOIN supplier ON s_suppkey = l_suppkey WHERE total = (SELECT max(total) FROM r)"""
 
 
+def quarter_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load(spark, sf_dir, "lineitem").where((F.col("l_shipdate") >= day("1996-01-01")) & (F.col("l_shipdate") < day("1996-04-01")))
+
+
 def quarter_partials(spark: SparkSession, sf_dir: str, shards: int = SHARDS) -> DataFrame:
     """(shard, key, val): revenue by supplier on each shard of lines."""
-    lines = load(spark, sf_dir, "lineitem").where((F.col("l_shipdate") >= day("1996-01-01")) & (F.col("l_shipdate") < day("1996-04-01")))
+    lines = quarter_lines(spark, sf_dir)
     return lines.groupBy(key_shard("l_orderkey", shards).alias("shard"), F.col("l_suppkey").alias("key")).agg(F.sum(rev4()).alias("val"))
 
 
 @variants("q15", ("bounds", "bounds_residual", "full", "full_scheduled", "ta", "uniform"), Q15)
 def q15(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
+    rows = quarter_lines(spark, sf_dir).select(F.col("l_suppkey").alias("key"), rev4().alias("val"))
+    if variant == "bounds":
+        best = topk_bounds.run_rows(rows, 1).df
+        return _named_suppliers(spark, sf_dir, best)
+    if variant == "full":
+        return _named_suppliers(spark, sf_dir, topk_baselines.full(rows, 1))
     partials = quarter_partials(spark, sf_dir)
-    if variant.startswith("bounds"):
-        best = topk_bounds.run(partials, 1, residual=variant.endswith("residual")).df
-    elif variant == "full":
-        best = topk_baselines.full(partials, 1)
+    if variant == "bounds_residual":
+        best = topk_bounds.run(partials, 1, residual=True).df
     elif variant == "full_scheduled":
         # The same values, dealt to the owners of the keys one round after another.
         owned = partials.withColumn("owner", key_shard("key", SHARDS))
@@ -216,6 +229,10 @@ def q15(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
         best = topk_baselines.threshold_algorithm(partials, 1).df
     else:
         best = topk_baselines.uniform_threshold(partials, SHARDS, 1).df
+    return _named_suppliers(spark, sf_dir, best)
+
+
+def _named_suppliers(spark: SparkSession, sf_dir: str, best: DataFrame) -> DataFrame:
     named = deferred.attach(best, "key", load(spark, sf_dir, "supplier"), "s_suppkey", ["s_suppkey", "s_name", "s_acctbal"])
     return named.select("s_suppkey", "s_name", cents("s_acctbal").alias("acctbal_c"), F.col("total"))
 
@@ -252,13 +269,19 @@ Q21 = """WITH late AS (SELECT l_orderkey, l_suppkey, bool_or(l_shipdate > o_orde
  SELECT s_name, CAST(count(*) AS BIGINT) AS numwait FROM one JOIN supplier ON s_suppkey = suppkey JOIN nation ON n_nationkey = s_nationkey WHERE n_name = 'NATION_9' GROUP BY 1 ORDER BY numwait DESC, s_name LIMIT 100"""
 
 
-@variants("q21", ("bitset", "repl", "late", "auto"), Q21)
+@variants("q21", ("bitset", "repl", "late", "auto", "first"), Q21)
 def q21(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
     orders = load(spark, sf_dir, "orders").where("o_orderstatus = 'F'").select("o_orderkey", "o_orderdate")
     lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey", "l_shipdate")
     delay = F.col("l_shipdate") > F.col("o_orderdate") + F.expr("interval 90 days")
     # Distinct suppliers of an order are two for certain if least and greatest differ; so no list of them is needed.
     late_supplier = F.when(delay, F.col("l_suppkey"))
+    nation = F.broadcast(load(spark, sf_dir, "nation").where("n_name = 'NATION_9'").select("n_nationkey"))
+    suppliers = load(spark, sf_dir, "supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey"), "left").select("s_suppkey", "s_name", F.col("n_nationkey").isNotNull().alias("wanted"))
+    if variant == "first":
+        # Suppliers are filtered first: only orders with a late line of one of them are aggregated at all.
+        blamed = semifilter.replicated(lines, "l_suppkey", suppliers, "s_suppkey", F.col("wanted")).join(orders, F.col("l_orderkey") == F.col("o_orderkey")).where(delay)
+        orders = orders.join(blamed.select(F.col("l_orderkey").alias("_blamed")).distinct(), F.col("o_orderkey") == F.col("_blamed"), "left_semi")
     alone = (
         lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
         .groupBy("l_orderkey")
@@ -267,9 +290,7 @@ def q21(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
         .groupBy(F.col("la").alias("suppkey"))
         .agg(F.count("*").alias("numwait"))
     )
-    nation = F.broadcast(load(spark, sf_dir, "nation").where("n_name = 'NATION_9'").select("n_nationkey"))
-    suppliers = load(spark, sf_dir, "supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey"), "left").select("s_suppkey", "s_name", F.col("n_nationkey").isNotNull().alias("wanted"))
-    name = "replicated" if variant == "repl" else variant
+    name = {"repl": "replicated", "first": "late"}.get(variant, variant)
     mine = semifilter.VARIANTS[name](alone, "suppkey", suppliers, "s_suppkey", F.col("wanted"))
     named = semifilter.fetch(mine, "suppkey", suppliers, "s_suppkey", ["s_name"])
     return topk_merge.gather(named, [F.col("numwait").desc(), F.col("s_name")], 100).select("s_name", "numwait")

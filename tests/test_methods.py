@@ -224,3 +224,77 @@ def test_meters(spark):
 
     found = meters.timed(spark, lambda: spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count(), 2)
     assert found["wall_max"] >= found["wall_mean"] > 0 and meters.blend(1, 2) == pytest.approx(1.4)
+
+
+def _plan(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_codes_are_made_before_the_first_exchange(spark, sf):
+    from thriftline.operators import topk_bounds
+    from thriftline.plans import methods
+
+    rows = methods._part_rows(spark, sf)
+    assert "Exchange" not in _plan(topk_bounds.code_rows(rows))
+    sums = {r["key"]: r["total"] for r in rows.groupBy("key").agg(F.sum("val").alias("total")).collect()}
+    for width, group in ((3, 7), (8, 1024), (12, 100)):
+        bounds = topk_bounds.decode_sum(topk_bounds.code_rows(rows.repartition(5), width, group), width, group).collect()
+        assert {r["key"] for r in bounds} == set(sums) and all(r["lo"] <= sums[r["key"]] <= r["hi"] for r in bounds)
+
+
+def test_bounds_exchange_fewer_bytes_than_full_sums(spark):
+    from thriftline import meters
+    from thriftline.operators import topk_baselines, topk_bounds
+    from thriftline.shipping import written
+
+    rows = written(spark.range(400_000, numPartitions=4).select((F.col("id") % 100_000).alias("key"), (F.pmod(F.xxhash64("id"), F.lit(1 << 44)) + F.when(F.col("id") % 100_000 < 5, 1 << 46).otherwise(0)).alias("val")))
+
+    def moved(run):
+        meters.barrier(spark)
+        before = meters.totals(spark)["shuffle_bytes"]
+        best = sorted(tuple(r) for r in run().select("key", "total").collect())
+        meters.barrier(spark)
+        return best, meters.totals(spark)["shuffle_bytes"] - before
+
+    (a, full), (b, coded) = moved(lambda: topk_baselines.full(rows, 5)), moved(lambda: topk_bounds.run_rows(rows, 5).df)
+    assert a == b and 2 * coded < full
+
+
+def test_negative_values_and_nulls_are_summed_in_full(spark):
+    from thriftline.operators import topk_bounds
+
+    rows = spark.createDataFrame([(1, -5), (1, 9), (2, 3), (None, 7), (3, None), (-4, 1 << 40)], "key long, val long")
+    assert sorted(tuple(r) for r in topk_bounds.run_rows(rows.where("key is not null and val is not null"), 2).df.collect()) == [(-4, 1 << 40), (1, 4)]
+    assert topk_bounds.run_rows(rows.limit(0), 2).df.count() == 0
+
+
+def test_placed_tables_are_joined_without_an_exchange(spark, sf):
+    from thriftline.plans import workloads
+
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        # The only exchange is that of the counts.
+        assert _plan(workloads.q04_placed(spark, sf)).count("Exchange hashpartitioning") == 1
+        assert _plan(workloads.q04(spark, sf)).count("Exchange hashpartitioning") == 3
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+@pytest.mark.parametrize("ordered", [True, False])
+def test_packed_requests_and_replies(spark, ordered):
+    from thriftline.operators import keycodec, semifilter
+
+    keys = [0, -1, -32768, 1, 32768, 32769, 70_000, 10**9, None, 5, 5]
+    local = spark.createDataFrame([(k, n) for n, k in enumerate(keys)], "fk long, n long").repartition(3)
+    remote = spark.createDataFrame([(k, k % 2 == 0) for k in (0, -1, -32768, 1, 32768, 32769, 70_000, 10**9, 5, 8)], "pk long, ok boolean")
+    got = sorted(r["n"] for r in semifilter.packed(local, "fk", remote, "pk", F.col("ok"), ordered).collect())
+    assert got == sorted(n for n, k in enumerate(keys) if k is not None and k % 2 == 0)
+    asked = keycodec.requests(local, "fk", ordered)
+    assert "Exchange" not in _plan(keycodec.requests(local.coalesce(1), "fk", ordered)).split("MapInArrow")[0] and asked.agg(F.sum("n")).first()[0] >= 9
+
+
+def test_meters_have_all_fields(spark):
+    from thriftline import meters
+
+    found = meters.timed(spark, lambda: spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count(), 1)
+    assert set(found) == {"wall_mean", "wall_max", "wall_median", "blend", "shuffle_bytes", "cpu_s", "comm_share"} and found["shuffle_bytes"] > 0

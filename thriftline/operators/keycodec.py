@@ -83,6 +83,72 @@ def unpack_keys(data: bytes) -> np.ndarray:
     return np.cumsum(decode_varint(data).astype(np.int64))
 
 
+def requests(df: DataFrame, key: str, sort_for_wire: bool = True) -> DataFrame:
+    """(bucket, n, keys): the distinct keys that each task wants, a block for each range of 32,768 keys, made without an exchange.
+
+    Sorted keys travel as variable-length gaps; ``sort_for_wire`` off leaves them in any order, 8 bytes each.  Keys are those of ``to_bitset``.
+    """
+    import pyarrow as pa
+
+    ship(df.sparkSession)
+
+    def run(batches):
+        held, waiting = [], 0
+        for batch in batches:
+            held.append(batch.column(0).to_numpy())
+            waiting += batch.num_rows
+            if waiting > 1 << 21:
+                held, waiting = [np.unique(np.concatenate(held))], 0
+        if not held:
+            return
+        keys = np.unique(np.concatenate(held))
+        bucket = np.where(keys > 0, 1 + (keys - 1) // 32768, -(-keys // 32768))
+        order = np.argsort(bucket, kind="stable")
+        keys, bucket = keys[order], bucket[order]
+        cuts = np.concatenate(([0], np.flatnonzero(bucket[1:] != bucket[:-1]) + 1, [len(keys)]))
+        for first in range(0, len(cuts) - 1, 4096):
+            out = []
+            for a, b in zip(cuts[first : first + 4096].tolist(), cuts[first + 1 : first + 4097].tolist(), strict=False):
+                if a < b:
+                    small = sort_for_wire and keys[a] >= 0
+                    out.append((int(bucket[a]), b - a, bool(small), pack_keys(keys[a:b]) if small else keys[a:b].tobytes()))
+            if out:
+                kinds = (pa.int64(), pa.int32(), pa.bool_(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["bucket", "n", "gaps", "keys"])
+
+    return df.where(F.col(key).isNotNull()).select(F.col(key).cast("long")).mapInArrow(run, "bucket long, n int, gaps boolean, keys binary")
+
+
+def replies(asked: DataFrame, blocks: DataFrame) -> DataFrame:
+    """(gaps, keys, n, reply): for each block of requests one bit for each key, set if the bitset ``blocks`` (bucket, bits) of its owner has it."""
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for gaps, data, bits in zip(*(batch.column(i).to_pylist() for i in (0, 1, 3)), strict=True):
+                keys = unpack_keys(data) if gaps else np.frombuffer(data, np.int64)
+                at = np.where(keys > 0, (keys - 1) % 32768, -keys % 32768)
+                out.append(np.packbits(np.unpackbits(np.frombuffer(bits, np.uint8), bitorder="little")[at]).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(out, pa.binary())], names=["gaps", "keys", "n", "reply"])
+
+    met = asked.join(blocks, "bucket").select("gaps", "keys", "n", "bits")
+    return met.mapInArrow(run, "gaps boolean, keys binary, n int, reply binary")
+
+
+def answered(replied: DataFrame, name: str) -> DataFrame:
+    """The keys whose bit is set."""
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            for gaps, data, n, reply in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                keys = unpack_keys(data) if gaps else np.frombuffer(data, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(keys[np.unpackbits(np.frombuffer(reply, np.uint8), count=n).astype(bool)])], names=[name])
+
+    return replied.mapInArrow(run, f"`{name}` long")
+
+
 def packed(df: DataFrame, key: str, by: str, chunk: int = 1 << 16) -> DataFrame:
     """(by, piece, n_keys, data): the distinct keys of each receiver, packed in pieces of key ranges of bounded size."""
     import pyarrow as pa

@@ -5,10 +5,16 @@ A shard id is a function of the row, never of a task, so a task that runs again
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import hashlib
+import uuid
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from thriftline.shipping import shared_dir
+from thriftline.sources.catalog import load
+
 #: An odd multiplier that spreads dense keys.
 SPREAD = 2654435761
 
@@ -85,6 +91,17 @@ def store_bucketed(df: DataFrame, table: str, key: str, shards: int) -> DataFram
     return df.sparkSession.table(table)
 
 
+def placed(spark: SparkSession, sf_dir: str, name: str, key: str, shards: int = 16) -> DataFrame:
+    """A base table as it was placed once for this application: bucketed by ``key`` in the shared folder, so that queries need not move it."""
+    table = f"placed_{name}_{key}_{shards}_{hashlib.md5(sf_dir.encode()).hexdigest()[:10]}"
+    if not spark.catalog.tableExists(table):
+        path = f"{shared_dir(spark)}/{table}-{uuid.uuid4().hex}"
+        # One file a bucket: rows are dealt before they are written.
+        rows = load(spark, sf_dir, name).repartition(shards, F.col(key))
+        rows.write.format("parquet").bucketBy(shards, key).sortBy(key).option("path", path).saveAsTable(table)
+    return spark.table(table)
+
+
 def imbalance(df: DataFrame, condition: Column | None = None, shards: int | None = None) -> DataFrame:
     """shards, rows, largest and largest over mean of a placed table (after a filter); shards without rows count if ``shards`` is given."""
     rows = df if condition is None else df.where(condition)

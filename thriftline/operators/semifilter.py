@@ -1,6 +1,6 @@
-"""Rows of a local table whose partner in a remote table meets a condition, four ways with one result.
+"""Rows of a local table whose partner in a remote table meets a condition, five ways with one result.
 
-``late`` asks the owners of the wanted keys only, after all local filters; ``bitset`` sends everybody one bit for each remote key that
+``late`` asks the owners of the wanted keys only, after all local filters, and ``packed`` does so in packed blocks with one bit for an answer; ``bitset`` sends everybody one bit for each remote key that
 qualifies; ``replicated`` keeps the remote attribute everywhere; ``auto`` picks by modelled bits from a pilot.
 Null keys and null conditions never qualify.
 """
@@ -22,6 +22,13 @@ def late(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Colum
     return local.join(answer, F.col(fk) == F.col("_owned"), "left_semi")
 
 
+def packed(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Column, sort_for_wire: bool = True) -> DataFrame:
+    """``late`` with the wire format spelt out: each task's wanted keys travel as packed blocks to their owners, one bit a key comes back."""
+    asked = keycodec.requests(local, fk, sort_for_wire)
+    answer = keycodec.answered(keycodec.replies(asked, keycodec.to_bitset(remote.where(condition), pk)), "_owned")
+    return local.join(answer, F.col(fk) == F.col("_owned"), "left_semi")
+
+
 def bitset(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Column, budget_bytes: int = costmodel.BUDGET_BYTES) -> DataFrame:
     """Qualifying keys as blocks of bits, sent to all if they fit the budget and else dealt by key range with the local rows."""
     blocks = keycodec.to_bitset(remote.where(condition), pk).withColumnRenamed("bucket", "_bucket").withColumnRenamed("bits", "_bits")
@@ -66,7 +73,7 @@ def auto(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Colum
     return {"late": late, "bitset": bitset, "replicated": replicated}[variant](local, fk, remote, pk, condition)
 
 
-VARIANTS = {"late": late, "bitset": bitset, "replicated": replicated, "auto": auto}
+VARIANTS = {"late": late, "packed": packed, "bitset": bitset, "replicated": replicated, "auto": auto}
 
 
 def fetch(local: DataFrame, fk: str, remote: DataFrame, pk: str, columns: list[str]) -> DataFrame:

@@ -101,23 +101,6 @@ def filter_null_safe(spark, sf_dir):
 # ---- joins ----
 
 
-def _join(name: str, how: str, sql: str):
-    @query(f"join_{name}", sql)
-    def join(spark, sf_dir):
-        docs, labels = load(spark, sf_dir, "documents").select("doc_id", "lang").where("doc_id % 3 <> 0"), load(spark, sf_dir, "labels").where("doc_id % 2 = 0")
-        return docs.join(labels, "doc_id", how)
-
-
-_D = "(SELECT doc_id, lang FROM documents WHERE doc_id % 3 <> 0) d"
-_L = "(SELECT * FROM labels WHERE doc_id % 2 = 0) l"
-_join("inner", "inner", f"SELECT doc_id, lang, quality, toxic FROM {_D} JOIN {_L} USING (doc_id)")
-_join("left", "left", f"SELECT doc_id, lang, quality, toxic FROM {_D} LEFT JOIN {_L} USING (doc_id)")
-_join("right", "right", f"SELECT doc_id, lang, quality, toxic FROM {_D} RIGHT JOIN {_L} USING (doc_id)")
-_join("full", "full", f"SELECT doc_id, lang, quality, toxic FROM {_D} FULL JOIN {_L} USING (doc_id)")
-_join("semi", "left_semi", f"SELECT doc_id, lang FROM {_D} WHERE doc_id IN (SELECT doc_id FROM {_L})")
-_join("anti", "left_anti", f"SELECT doc_id, lang FROM {_D} WHERE doc_id NOT IN (SELECT doc_id FROM {_L})")
-
-
 def _whole_join(name: str, how: str, sql: str):
     @query(f"join_{name}_whole", sql)
     def join(spark, sf_dir):
@@ -152,16 +135,6 @@ def join_theta(spark, sf_dir):
     return load(spark, sf_dir, "nation").join(F.broadcast(load(spark, sf_dir, "region")), F.col("r_regionkey") < F.col("n_regionkey"), "left").groupBy("n_nationkey").agg(F.count("r_regionkey").alias("n"))
 
 
-_SPANS = "(SELECT ts AS start_ts, ts + INTERVAL 600 SECOND AS stop_ts, event_id AS span_id FROM events WHERE event_type = 'error' AND event_id % 10 = 0)"
-
-
-@query("join_interval", f"SELECT span_id, {_N} FROM events JOIN {_SPANS} ON ts >= start_ts AND ts < stop_ts GROUP BY 1")
-def join_interval(spark, sf_dir):
-    events = load(spark, sf_dir, "events")
-    spans = events.where("event_type = 'error' and event_id % 10 = 0").select(F.col("ts").alias("start_ts"), (F.col("ts") + F.expr("interval 600 seconds")).alias("stop_ts"), F.col("event_id").alias("span_id"))
-    return relational.interval(events.select("ts"), "ts", spans, "start_ts", "stop_ts", 600).groupBy("span_id").agg(_n())
-
-
 _ALL_SPANS = "(SELECT ts AS start_ts, ts + INTERVAL 600 SECOND AS stop_ts, event_id AS span_id FROM events WHERE event_type = 'error')"
 
 
@@ -220,6 +193,14 @@ query("agg_approx_distinct")(lambda spark, sf_dir: load(spark, sf_dir, "orders")
 
 # ---- windows ----
 
+
+@query("win_distribution", """SELECT c_custkey, percent_rank() OVER (PARTITION BY c_mktsegment ORDER BY CAST(round(c_acctbal*100) AS BIGINT)) AS share_below, cume_dist() OVER (PARTITION BY c_mktsegment ORDER BY CAST(round(c_acctbal*100) AS BIGINT)) AS share_up_to FROM customer""")
+def win_distribution(spark, sf_dir):
+    rows = load(spark, sf_dir, "customer").withColumn("c", cents("c_acctbal"))
+    by = W.partitionBy("c_mktsegment").orderBy("c")
+    return rows.select("c_custkey", F.percent_rank().over(by).alias("share_below"), F.cume_dist().over(by).alias("share_up_to"))
+
+
 _W = "OVER (PARTITION BY c_mktsegment ORDER BY CAST(round(c_acctbal*100) AS BIGINT) DESC, c_custkey)"
 
 
@@ -246,21 +227,6 @@ query("sort_limit", "SELECT o_orderkey FROM orders ORDER BY o_orderdate DESC, o_
 query("sort_offset", "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 10 OFFSET 40")(lambda spark, sf_dir: load(spark, sf_dir, "orders").orderBy("o_orderkey").offset(40).limit(10).select("o_orderkey"))
 
 
-def _set(name: str, sql: str, f):
-    @query(f"set_{name}", sql)
-    def run(spark, sf_dir):
-        return f(load(spark, sf_dir, "orders").select(F.col("o_custkey").alias("k")).where("k % 3 = 0"), load(spark, sf_dir, "orders").select(F.col("o_custkey").alias("k")).where("k % 2 = 0"))
-
-
-_S = ("SELECT o_custkey AS k FROM orders WHERE o_custkey % 3 = 0", "SELECT o_custkey AS k FROM orders WHERE o_custkey % 2 = 0")
-_set("union", f"{_S[0]} UNION {_S[1]}", lambda a, b: a.union(b).distinct())
-_set("union_all", f"SELECT k, {_N} FROM ({_S[0]} UNION ALL {_S[1]}) GROUP BY 1", lambda a, b: a.unionAll(b).groupBy("k").agg(_n()))
-_set("intersect", f"{_S[0]} INTERSECT {_S[1]}", lambda a, b: a.intersect(b))
-_set("intersect_all", f"{_S[0]} INTERSECT ALL {_S[1]}", lambda a, b: a.intersectAll(b))
-_set("except", f"{_S[0]} EXCEPT {_S[1]}", lambda a, b: a.subtract(b))
-_set("except_all", f"{_S[0]} EXCEPT ALL {_S[1]}", lambda a, b: a.exceptAll(b))
-
-
 def _status_set(name: str, sql: str, f):
     @query(f"set_{name}_status", sql)
     def run(spark, sf_dir):

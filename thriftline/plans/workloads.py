@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from thriftline.functions.money import SQL_OFFERS, SQL_REV4, cents, day, quantity, rev4, whole
 from thriftline.operators import collectives, costmodel, deferred, semifilter, topk_baselines, topk_bounds, topk_lazy, topk_merge
-from thriftline.operators.placement import key_shard
+from thriftline.operators.placement import key_shard, placed
 from thriftline.shipping import written
 from thriftline.sources.catalog import load
 
@@ -92,9 +92,10 @@ def _building():
     return F.col("c_mktsegment") == "BUILDING"
 
 
-def open_orders(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    orders = load(spark, sf_dir, "orders").where(F.col("o_orderdate") < day("1998-03-15")).select("o_orderkey", "o_custkey", "o_orderdate")
-    lines = load(spark, sf_dir, "lineitem").where(F.col("l_shipdate") > day("1998-03-15"))
+def open_orders(spark: SparkSession, sf_dir: str, stored: tuple[DataFrame, DataFrame] | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    orders, lines = stored or (load(spark, sf_dir, "orders"), load(spark, sf_dir, "lineitem"))
+    orders = orders.where(F.col("o_orderdate") < day("1998-03-15")).select("o_orderkey", "o_custkey", "o_orderdate")
+    lines = lines.where(F.col("l_shipdate") > day("1998-03-15"))
     return orders, lines, load(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment")
 
 
@@ -104,14 +105,14 @@ def order_revenue(orders: DataFrame, lines: DataFrame) -> DataFrame:
     return revenue.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select("o_orderkey", "o_custkey", "rev4", "o_orderdate")
 
 
-@variants("q03", ("bitset", "repl", "late", "auto", "lazy", "lazy_pruned"), Q03)
+@variants("q03", ("bitset", "repl", "late", "packed", "auto", "lazy", "lazy_pruned", "placed"), Q03)
 def q03(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
-    orders, lines, customers = open_orders(spark, sf_dir)
+    orders, lines, customers = open_orders(spark, sf_dir, _placed(spark, sf_dir) if variant == "placed" else None)
     if variant.startswith("lazy"):
         rows = order_revenue(orders, lines).withColumn("shard", key_shard("o_orderkey", SHARDS))
         found = topk_lazy.run(rows, "rev4", "o_orderkey", "o_custkey", customers, "c_custkey", _building(), 10, chunk=50, prune_every=1 if variant == "lazy_pruned" else 0)
         return found.df.select("o_orderkey", "rev4", "o_orderdate")
-    name = "replicated" if variant == "repl" else variant
+    name = {"repl": "replicated", "placed": "bitset"}.get(variant, variant)
     kept = semifilter.VARIANTS[name](orders, "o_custkey", customers, "c_custkey", _building())
     top = topk_merge.gather(order_revenue(kept, lines), [F.col("rev4").desc(), F.col("o_orderkey")], 10)
     return top.select("o_orderkey", "rev4", "o_orderdate")
@@ -120,15 +121,33 @@ def q03(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
 # ---- priorities of orders with a late line: one join of co-partitioned tables ----
 
 
-@query("q04", """SELECT o_orderpriority, CAST(count(*) AS BIGINT) AS n FROM orders WHERE o_orderdate >= TIMESTAMP '1997-07-01' AND o_orderdate < TIMESTAMP '1997-10-01'
- AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_shipdate > o_orderdate + INTERVAL 90 DAY) GROUP BY 1""")
-def q04(spark: SparkSession, sf_dir: str) -> DataFrame:
-    orders = load(spark, sf_dir, "orders").where((F.col("o_orderdate") >= day("1997-07-01")) & (F.col("o_orderdate") < day("1997-10-01")))
-    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_shipdate")
+Q04 = """SELECT o_orderpriority, CAST(count(*) AS BIGINT) AS n FROM orders WHERE o_orderdate >= TIMESTAMP '1997-07-01' AND o_orderdate < TIMESTAMP '1997-10-01'
+ AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_shipdate > o_orderdate + INTERVAL 90 DAY) GROUP BY 1"""
+
+
+def _late_orders(orders: DataFrame, lines: DataFrame) -> DataFrame:
+    orders = orders.where((F.col("o_orderdate") >= day("1997-07-01")) & (F.col("o_orderdate") < day("1997-10-01")))
+    lines = lines.select("l_orderkey", "l_shipdate")
     late = orders.join(lines, (F.col("l_orderkey") == F.col("o_orderkey")) & (F.col("l_shipdate") > F.col("o_orderdate") + F.expr("interval 90 days")), "left_semi")
     return late.groupBy("o_orderpriority").agg(F.count("*").alias("n"))
 
 
+@query("q04", Q04)
+def q04(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _late_orders(load(spark, sf_dir, "orders"), load(spark, sf_dir, "lineitem"))
+
+
+def _placed(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """Orders and lines that were dealt by order key when they were loaded."""
+    return placed(spark, sf_dir, "orders", "o_orderkey"), placed(spark, sf_dir, "lineitem", "l_orderkey")
+
+
+@query("q04_placed", Q04)
+def q04_placed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The join moves nothing: both tables were placed by order key once."""
+    return _late_orders(*_placed(spark, sf_dir))
+
+
 # ---- revenue of nations: small side to all, large side by request with payload ----
 
 
@@ -244,10 +263,11 @@ Q18 = """WITH big AS (SELECT l_orderkey, CAST(sum(CAST(l_quantity AS BIGINT)) AS
  ORDER BY total_c DESC, o_orderdate, o_orderkey LIMIT 100"""
 
 
-@variants("q18", ("late_columns", "early_columns", "tree"), Q18)
+@variants("q18", ("late_columns", "early_columns", "tree", "placed"), Q18)
 def q18(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
-    big = load(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.sum(quantity()).alias("qty")).where("qty > 250")
-    orders = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate", cents("o_totalprice").alias("total_c"))
+    stored, lines = _placed(spark, sf_dir) if variant == "placed" else (load(spark, sf_dir, "orders"), load(spark, sf_dir, "lineitem"))
+    big = lines.groupBy("l_orderkey").agg(F.sum(quantity()).alias("qty")).where("qty > 250")
+    orders = stored.select("o_orderkey", "o_custkey", "o_orderdate", cents("o_totalprice").alias("total_c"))
     rows = big.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).drop("l_orderkey")
     customers = load(spark, sf_dir, "customer")
     order = [F.col("total_c").desc(), F.col("o_orderdate"), F.col("o_orderkey")]

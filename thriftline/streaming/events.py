@@ -8,11 +8,11 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from thriftline.functions.money import cents
-from thriftline.operators import semifilter
+from thriftline.operators import semifilter, topk_merge
 from thriftline.shipping import shared_dir
 from thriftline.sources.catalog import SCHEMAS, load
 
@@ -103,3 +103,29 @@ def stream_static_filter(spark, sf_dir):
 def stream_topk(spark, sf_dir):
     sums = read_events(spark, sf_dir).where("event_type = 'purchase'").groupBy("user_id").agg(F.sum(cents("value")).alias("total"))
     return drained(sums, "complete").orderBy(F.col("total").desc(), "user_id").limit(10)
+
+
+def merged_topk(stream: DataFrame, by: list[Column], k: int, base: str) -> DataFrame:
+    """Continuous top-k of single rows: each batch's k best merge with the k best so far, so the state is k rows whatever has passed.
+
+    The vector of a batch is worked out from that of the batch before and written under the batch's number, so a batch that runs again, and a
+    stream that starts again from ``base``, give the same.
+    """
+    spark, schema = stream.sparkSession, stream.schema
+
+    def merge(batch: DataFrame, number: int) -> None:
+        rows = batch
+        if number:
+            rows = rows.unionByName(batch.sparkSession.read.schema(schema).parquet(f"{base}/best/batch={number - 1:09d}"))
+        topk_merge.gather(rows, by, k).write.mode("overwrite").parquet(f"{base}/best/batch={number:09d}")
+
+    run = stream.writeStream.foreachBatch(merge).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
+    run.awaitTermination()
+    out = spark.read.schema(schema.add("batch", "long")).parquet(f"{base}/best")
+    return out.where(F.col("batch") == out.agg(F.max("batch")).first()[0]).drop("batch")
+
+
+@query("stream_topk_vectors", "SELECT event_id, user_id, CAST(round(value*100) AS BIGINT) AS value_c FROM events WHERE event_type = 'purchase' ORDER BY 3 DESC, 1 LIMIT 10")
+def stream_topk_vectors(spark, sf_dir):
+    bought = read_events(spark, sf_dir).where("event_type = 'purchase'").select("event_id", "user_id", cents("value").alias("value_c"))
+    return merged_topk(bought, [F.col("value_c").desc(), F.col("event_id")], 10, f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}")

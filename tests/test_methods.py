@@ -298,3 +298,49 @@ def test_meters_have_all_fields(spark):
 
     found = meters.timed(spark, lambda: spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count(), 1)
     assert set(found) == {"wall_mean", "wall_max", "wall_median", "blend", "shuffle_bytes", "cpu_s", "comm_share"} and found["shuffle_bytes"] > 0
+
+
+@pytest.mark.parametrize("code", keycodec.CODES)
+@pytest.mark.parametrize("keys", [[], [0], [7], [0, 1, 2, 3], [5, 6, 1 << 20, (1 << 40) + 3], list(range(3, 5000, 7))])
+def test_codes_give_back_what_they_took(code, keys):
+    data = keycodec.pack_keys(np.array(keys, np.int64), code)
+    assert keycodec.unpack_keys(data, code).tolist() == keys
+
+
+def test_sizes_of_codes():
+    gaps = np.array([0, 1, 2, 3, 4, 100])
+    assert len(keycodec.encode_bitpack(gaps)) == 9 + -(-len(gaps) * 7 // 8)
+    assert len(keycodec.encode_elias_gamma(gaps)) == 8 + -(-sum(2 * (g + 1).bit_length() - 1 for g in gaps.tolist()) // 8)
+
+
+def test_unsorted_keys_are_compressed_by_blocks_or_left_as_they_are():
+    keys = [9, 3, 3, 1 << 50, -4] * 400
+    for code in ("raw", "block"):
+        assert keycodec.unpack_keys(keycodec.pack_keys(np.array(keys), code), code).tolist() == keys
+    assert len(keycodec.pack_keys(np.array(keys), "block")) < 8 * len(keys) / 4
+
+
+def test_handover_is_the_only_exchange_of_orders(spark, sf):
+    from thriftline.plans import workloads
+
+    plan = _plan(workloads.q13_handover(spark, sf))
+    assert plan.count("REPARTITION_BY_COL") == 1
+    assert "partial_count(1)" not in plan.split("REPARTITION_BY_COL")[1].split("FileScan")[0]
+
+
+def test_held_attribute_asks_no_customers(spark, sf):
+    from thriftline.plans import workloads
+
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        plan = _plan(workloads.q03_held(spark, sf))
+        assert plan.count("FileScan") == 2 and "c_custkey" not in plan and "Exchange hashpartitioning" not in plan and "BroadcastExchange" not in plan
+        assert _plan(workloads.q03(spark, sf, "bitset")).count("FileScan") == 3
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_request_answers_each_key_once(spark):
+    keys = spark.createDataFrame([(1,), (1,), (3,), (None,), (9,)], "fk long")
+    remote = spark.createDataFrame([(1, "a"), (2, "b"), (3, "c")], "pk long, name string")
+    assert sorted(tuple(r) for r in collectives.request(keys, "fk", remote, "pk", ["name"]).collect()) == [(1, "a"), (3, "c")]

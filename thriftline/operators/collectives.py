@@ -54,9 +54,9 @@ def allreduce(df: DataFrame, operator: Column, name: str) -> DataFrame:
     return df.crossJoin(F.broadcast(df.agg(operator.alias(name))))
 
 
-def handover(df: DataFrame, key: str, shards: int) -> DataFrame:
-    """Processing state moves to the owner of its key, which goes on from there."""
-    return df.repartition(shards, F.col(key))
+def handover(df: DataFrame, key: str, shards: int | None = None) -> DataFrame:
+    """Processing state moves to the owner of its key, which goes on from there; without a number of shards as many as the session shuffles to."""
+    return df.repartition(F.col(key)) if shards is None else df.repartition(shards, F.col(key))
 
 
 def request(keys: DataFrame, key: str, remote: DataFrame, pk: str, columns: list[str]) -> DataFrame:

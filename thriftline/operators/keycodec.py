@@ -44,9 +44,9 @@ def varint_size(gap: Column) -> Column:
 
 
 def wire_bytes(df: DataFrame, key: str, by: str, code: str = "varint") -> DataFrame:
-    """(by, n_keys, bytes) for a code of the gaps: raw (8 each), varint, or bitpack (all with the bits of the largest)."""
+    """(by, n_keys, bytes) for a code of the gaps: raw (8 each), varint, bitpack (all with the bits of the largest) or elias_gamma; heads not counted."""
     gaps = deltas(df, key, by)
-    size = {"raw": F.count("*") * 8, "varint": F.sum(varint_size(F.col("gap"))), "bitpack": F.ceil(F.count("*") * F.length(F.bin(F.max("gap"))) / 8)}[code]
+    size = {"raw": F.count("*") * 8, "varint": F.sum(varint_size(F.col("gap"))), "bitpack": F.ceil(F.count("*") * F.length(F.bin(F.max("gap"))) / 8), "elias_gamma": F.ceil(F.sum(2 * F.length(F.bin(F.col("gap") + 1)) - 1) / 8)}[code]
     return gaps.groupBy("by").agg(F.count("*").alias("n_keys"), size.cast("long").alias("bytes"))
 
 
@@ -74,13 +74,73 @@ def decode_varint(data: bytes) -> np.ndarray:
     return np.add.reduceat(values, starts) if len(starts) else values
 
 
-def pack_keys(keys: np.ndarray) -> bytes:
-    """A strictly increasing sequence of non-negative keys as variable-length gaps."""
-    return encode_varint(np.diff(np.asarray(keys, np.int64), prepend=0))
+def _bit_lengths(values: np.ndarray) -> np.ndarray:
+    """Bits of each number, 1 for zero."""
+    out = np.ones(len(values), np.int64)
+    for k in range(1, 64):
+        out += (values >> np.uint64(k)) > 0
+    return out
 
 
-def unpack_keys(data: bytes) -> np.ndarray:
-    return np.cumsum(decode_varint(data).astype(np.int64))
+def encode_bitpack(gaps: np.ndarray) -> bytes:
+    """Non-negative numbers with the bits of the largest; 8 bytes ahead hold their count, one their width."""
+    values = np.asarray(gaps).astype(np.uint64)
+    width = int(_bit_lengths(values).max()) if len(values) else 1
+    bits = (values[:, None] >> np.arange(width, dtype=np.uint64)) & np.uint64(1)
+    return len(values).to_bytes(8, "little") + bytes([width]) + np.packbits(bits.astype(np.uint8).ravel(), bitorder="little").tobytes()
+
+
+def decode_bitpack(data: bytes) -> np.ndarray:
+    n, width = int.from_bytes(data[:8], "little"), data[8]
+    bits = np.unpackbits(np.frombuffer(data, np.uint8, offset=9), count=n * width, bitorder="little").reshape(n, width)
+    return (bits.astype(np.uint64) << np.arange(width, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
+
+
+def encode_elias_gamma(gaps: np.ndarray) -> bytes:
+    """Non-negative numbers, each one more as a unary length and the bits below its highest; 8 bytes ahead hold their count.
+
+    All lengths come before all other bits, so neither end loops over numbers; the size is that of the interleaved code.
+    """
+    values = np.asarray(gaps).astype(np.uint64) + np.uint64(1)
+    lengths = _bit_lengths(values)
+    unary = np.zeros(int(lengths.sum()), np.uint8)
+    unary[np.cumsum(lengths) - 1] = 1
+    below = np.zeros(len(unary) - len(values), np.uint8)
+    ends = np.cumsum(lengths - 1)
+    for k in range(int(lengths.max()) - 1 if len(values) else 0):
+        live = lengths > k + 1
+        below[ends[live] - 1 - k] = (values[live] >> np.uint64(k)) & np.uint64(1)
+    return len(values).to_bytes(8, "little") + np.packbits(np.concatenate((unary, below))).tobytes()
+
+
+def decode_elias_gamma(data: bytes) -> np.ndarray:
+    n = int.from_bytes(data[:8], "little")
+    bits = np.unpackbits(np.frombuffer(data, np.uint8, offset=8))
+    last = np.flatnonzero(bits)[:n]
+    lengths = np.diff(last, prepend=-1)
+    ends = (int(last[-1]) + 1 if n else 0) + np.cumsum(lengths - 1)
+    values = np.uint64(1) << (lengths - 1).astype(np.uint64)
+    for k in range(int(lengths.max()) - 1 if n else 0):
+        live = lengths > k + 1
+        values[live] |= bits[ends[live] - 1 - k].astype(np.uint64) << np.uint64(k)
+    return values - np.uint64(1)
+
+
+def pack_keys(keys: np.ndarray, code: str = "varint") -> bytes:
+    """A strictly increasing sequence of non-negative keys as gaps in a code of CODES; ``raw`` and ``block`` take keys in any order."""
+    keys = np.asarray(keys, np.int64)
+    if code in ("raw", "block"):
+        return keys.tobytes() if code == "raw" else block(keys.tobytes())
+    return {"varint": encode_varint, "bitpack": encode_bitpack, "elias_gamma": encode_elias_gamma}[code](np.diff(keys, prepend=0))
+
+
+def unpack_keys(data: bytes, code: str = "varint") -> np.ndarray:
+    if code in ("raw", "block"):
+        return np.frombuffer(data if code == "raw" else unblock(data), np.int64)
+    return np.cumsum({"varint": decode_varint, "bitpack": decode_bitpack, "elias_gamma": decode_elias_gamma}[code](data).astype(np.int64))
+
+
+CODES = ("varint", "bitpack", "elias_gamma", "raw", "block")
 
 
 def requests(df: DataFrame, key: str, sort_for_wire: bool = True) -> DataFrame:
@@ -149,8 +209,8 @@ def answered(replied: DataFrame, name: str) -> DataFrame:
     return replied.mapInArrow(run, f"`{name}` long")
 
 
-def packed(df: DataFrame, key: str, by: str, chunk: int = 1 << 16) -> DataFrame:
-    """(by, piece, n_keys, data): the distinct keys of each receiver, packed in pieces of key ranges of bounded size."""
+def packed(df: DataFrame, key: str, by: str, chunk: int = 1 << 16, code: str = "varint") -> DataFrame:
+    """(by, piece, n_keys, data): the distinct keys of each receiver, packed by a code of CODES in pieces of key ranges of bounded size."""
     import pyarrow as pa
 
     ship(df.sparkSession)
@@ -161,7 +221,7 @@ def packed(df: DataFrame, key: str, by: str, chunk: int = 1 << 16) -> DataFrame:
 
         def block():
             keys = np.concatenate(held)
-            return pa.RecordBatch.from_arrays([pa.array([name[0]]), pa.array([name[1]]), pa.array([len(keys)]), pa.array([pack_keys(keys)])], names=["by", "piece", "n_keys", "data"])
+            return pa.RecordBatch.from_arrays([pa.array([name[0]]), pa.array([name[1]]), pa.array([len(keys)]), pa.array([pack_keys(keys, code)])], names=["by", "piece", "n_keys", "data"])
 
         for batch in batches:
             a, b, k = (batch.column(i).to_numpy() for i in range(3))
@@ -181,7 +241,7 @@ def packed(df: DataFrame, key: str, by: str, chunk: int = 1 << 16) -> DataFrame:
     return dealt.mapInArrow(run, "by long, piece long, n_keys long, data binary")
 
 
-def unpacked(blocks: DataFrame) -> DataFrame:
+def unpacked(blocks: DataFrame, code: str = "varint") -> DataFrame:
     """(by, key) of packed blocks."""
     import pyarrow as pa
 
@@ -190,7 +250,7 @@ def unpacked(blocks: DataFrame) -> DataFrame:
     def run(batches):
         for batch in batches:
             for by, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                keys = unpack_keys(data)
+                keys = unpack_keys(data, code)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), by)), pa.array(keys)], names=["by", "key"])
 
     return blocks.select("by", "data").mapInArrow(run, "by long, key long")

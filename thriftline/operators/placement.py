@@ -93,12 +93,25 @@ def store_bucketed(df: DataFrame, table: str, key: str, shards: int) -> DataFram
 
 def placed(spark: SparkSession, sf_dir: str, name: str, key: str, shards: int = 16) -> DataFrame:
     """A base table as it was placed once for this application: bucketed by ``key`` in the shared folder, so that queries need not move it."""
-    table = f"placed_{name}_{key}_{shards}_{hashlib.md5(sf_dir.encode()).hexdigest()[:10]}"
+    return _once(spark, sf_dir, f"placed_{name}", key, shards, lambda: load(spark, sf_dir, name))
+
+
+def held(spark: SparkSession, sf_dir: str, name: str, key: str, fk: str, parent: str, pk: str, columns: list[str], shards: int = 16) -> DataFrame:
+    """``placed`` with attributes of the remote partner that each shard holds since loading, so a filter on them asks nobody; null without a partner."""
+
+    def rows():
+        remote = load(spark, sf_dir, parent).select(F.col(pk).alias("_pk"), *columns)
+        return load(spark, sf_dir, name).join(remote, F.col(fk) == F.col("_pk"), "left").drop("_pk")
+
+    return _once(spark, sf_dir, f"held_{name}_{parent}_{'_'.join(columns)}", key, shards, rows)
+
+
+def _once(spark: SparkSession, sf_dir: str, what: str, key: str, shards: int, rows) -> DataFrame:
+    table = f"{what}_{key}_{shards}_{hashlib.md5(sf_dir.encode()).hexdigest()[:10]}"
     if not spark.catalog.tableExists(table):
         path = f"{shared_dir(spark)}/{table}-{uuid.uuid4().hex}"
         # One file a bucket: rows are dealt before they are written.
-        rows = load(spark, sf_dir, name).repartition(shards, F.col(key))
-        rows.write.format("parquet").bucketBy(shards, key).sortBy(key).option("path", path).saveAsTable(table)
+        rows().repartition(shards, F.col(key)).write.format("parquet").bucketBy(shards, key).sortBy(key).option("path", path).saveAsTable(table)
     return spark.table(table)
 
 

@@ -12,7 +12,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from thriftline.operators import costmodel, keycodec
+from thriftline.operators import collectives, costmodel, keycodec
 
 
 def late(local: DataFrame, fk: str, remote: DataFrame, pk: str, condition: Column) -> DataFrame:
@@ -78,6 +78,5 @@ VARIANTS = {"late": late, "packed": packed, "bitset": bitset, "replicated": repl
 
 def fetch(local: DataFrame, fk: str, remote: DataFrame, pk: str, columns: list[str]) -> DataFrame:
     """Local rows with attributes of their partner, asked for once for each distinct key."""
-    wanted = local.where(F.col(fk).isNotNull()).select(F.col(fk).alias("_wanted")).distinct()
-    answer = remote.select(F.col(pk).alias("_owned"), *columns).join(wanted, F.col("_owned") == F.col("_wanted"), "left_semi")
+    answer = collectives.request(local.select(F.col(fk).alias("_owned")), "_owned", remote, pk, columns)
     return local.join(answer, F.col(fk) == F.col("_owned")).drop("_owned")

@@ -147,6 +147,17 @@ def delta_roundtrip(spark, sf_dir):
     return keycodec.unpacked(keycodec.packed(orders, "o_custkey", "owner"))
 
 
+def _code_roundtrip(code: str):
+    @query(f"{code}_roundtrip", ORACLES["delta_roundtrip"])
+    def roundtrip(spark, sf_dir):
+        orders = load(spark, sf_dir, "orders").withColumn("owner", key_shard("o_custkey", SHARDS))
+        return keycodec.unpacked(keycodec.packed(orders, "o_custkey", "owner", code=code), code)
+
+
+for _name in ("bitpack", "elias_gamma", "raw", "block"):
+    _code_roundtrip(_name)
+
+
 def _wire(code: str, size: str):
     @query(f"wire_bytes_{code}", _GAPS + f'SELECT "by", CAST(count(*) AS BIGINT) AS n_keys, CAST({size} AS BIGINT) AS bytes FROM g GROUP BY 1')
     def wire(spark, sf_dir):
@@ -156,6 +167,7 @@ def _wire(code: str, size: str):
 _wire("raw", "count(*) * 8")
 _wire("varint", f"sum({_VARINT})")
 _wire("bitpack", "(count(*) * length(bin(max(gap))) + 7) // 8")
+_wire("elias_gamma", "(sum(2 * length(bin(gap + 1)) - 1) + 7) // 8")
 
 
 @query("wire_bytes_sorted_vs_not", _GAPS + f"SELECT CAST(sum({_VARINT}) AS BIGINT) AS sorted_bytes, (SELECT CAST(sum(" + _VARINT.replace("gap", "o_custkey") + ") AS BIGINT) FROM (SELECT DISTINCT o_custkey FROM orders)) AS unsorted_bytes FROM g")
@@ -305,7 +317,19 @@ def topk_lazy_q3(spark, sf_dir):
     return found.df.select("o_orderkey", "rev4", "o_orderdate")
 
 
-@query("lazy_asked_keys")
+_ASKED = """WITH r AS (SELECT doc_id, n_chars, doc_id % 8 AS shard, row_number() OVER (PARTITION BY doc_id % 8 ORDER BY n_chars DESC, doc_id) AS place,
+ doc_id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0) AS good FROM documents),
+ c AS (SELECT *, count(*) FILTER (good) OVER (PARTITION BY shard ORDER BY place) AS have FROM r), s AS (SELECT shard, count(*) AS size FROM r GROUP BY 1),
+ h AS (SELECT 'fixed' AS policy, i AS round, 10 * i AS high FROM range(1, (SELECT max(size) // 10 + 2 FROM s)) t(i)
+  UNION ALL SELECT p, i, CAST(10 * (2 ** i - 1) AS BIGINT) FROM range(1, (SELECT CAST(ceil(log2(max(size))) AS BIGINT) + 1 FROM s)) t(i), (VALUES ('doubling'), ('pruned')) u(p)),
+ b AS (SELECT policy, round, count(*) AS n, min(n_chars) AS kth FROM (SELECT policy, round, n_chars, row_number() OVER (PARTITION BY policy, round ORDER BY n_chars DESC) AS o FROM h JOIN r ON good AND place <= high) WHERE o <= 10 GROUP BY 1, 2),
+ e AS (SELECT h.policy, h.round, s.shard, least(high, size) AS asked, have >= 10 OR size <= high OR (h.policy = 'pruned' AND b.n = 10 AND nxt.n_chars < b.kth) AS stops
+  FROM h CROSS JOIN s JOIN c ON c.shard = s.shard AND c.place = least(high, size) LEFT JOIN r AS nxt ON nxt.shard = s.shard AND nxt.place = high + 1 LEFT JOIN b ON b.policy = h.policy AND b.round = h.round),
+ f AS (SELECT policy, shard, min(round) AS round, min(asked) AS asked FROM e WHERE stops GROUP BY 1, 2)
+ SELECT 'eager' AS policy, CAST(count(*) AS BIGINT) AS asked, 1 AS rounds FROM documents UNION ALL SELECT policy, CAST(sum(asked) AS BIGINT), CAST(max(round) AS INTEGER) FROM f GROUP BY 1"""
+
+
+@query("lazy_asked_keys", _ASKED)
 def lazy_asked_keys(spark, sf_dir):
     """Keys asked for by each chunk policy, beside all keys."""
     total = load(spark, sf_dir, "documents").count()
@@ -413,7 +437,17 @@ def bounds_width_sweep(spark, sf_dir):
     return out
 
 
-@query("bounds_wire_bits")
+def _wire_bits_sql() -> str:
+    """A block has its codes in whole bytes, 128 bytes of presence and one of shift; full values have 64 bits each."""
+    parts, tables = [], []
+    for w in (8, 12):
+        tables.append(_coded(w).replace(", c AS", f", c{w} AS").replace("e AS", f"e{w} AS").replace("FROM c)", f"FROM c{w})") + f", b{w} AS (SELECT key, sum(lo) AS lo, sum(hi) AS hi FROM e{w} GROUP BY 1)")
+        best = f"(SELECT CAST(count(*) AS BIGINT) FROM b{w} WHERE hi >= (SELECT min(lo) FROM (SELECT lo FROM b{w} ORDER BY lo DESC LIMIT 10)))"
+        parts.append(f"SELECT {w} AS width, CAST(count(*) * {8 if w <= 8 else 16} + count(DISTINCT (shard, key // 1024)) * {8 * 129} AS BIGINT) AS bits, CAST(64 * count(*) AS BIGINT) AS full_bits, {best} AS survivors FROM e{w}")
+    return _PARTS + "".join(tables) + " " + " UNION ALL ".join(parts)
+
+
+@query("bounds_wire_bits", _wire_bits_sql())
 def bounds_wire_bits(spark, sf_dir):
     """Bits of the first exchange by width, beside full values."""
     rows = []
@@ -423,7 +457,22 @@ def bounds_wire_bits(spark, sf_dir):
     return spark.createDataFrame(rows, "width int, bits long, full_bits long, survivors long")
 
 
-@query("topk_access_counts")
+_TOUCHED = _PARTS + """, r AS (SELECT *, row_number() OVER (PARTITION BY shard ORDER BY val DESC, key) AS place FROM p), t AS (SELECT key, sum(val) AS total, count(*) AS parts, min(place) AS place FROM r GROUP BY 1),
+ d AS (SELECT CAST(64 * 2 ** i AS BIGINT) AS depth FROM range((SELECT CAST(ceil(log2(greatest(max(place) / 64.0, 1))) AS BIGINT) + 1 FROM r)) x(i)),
+ seen AS (SELECT depth, total, parts, row_number() OVER (PARTITION BY depth ORDER BY total DESC) AS o FROM d JOIN t ON place <= depth),
+ a AS (SELECT depth, count(*) AS keys, min(total) FILTER (o <= 10) AS kth, sum(parts) AS touched FROM seen GROUP BY 1),
+ f AS (SELECT place AS depth, sum(val) AS frontier FROM r GROUP BY 1),
+ stop AS (SELECT a.depth, touched FROM a LEFT JOIN f ON f.depth = a.depth WHERE a.depth >= (SELECT max(place) FROM r) OR (keys >= 10 AND kth > coalesce(frontier, 0)) ORDER BY 1 LIMIT 1),
+ u AS (SELECT sum(val) AS s FROM r WHERE place <= 10 GROUP BY key ORDER BY 1 DESC LIMIT 10), v AS (SELECT min(s) AS t1, greatest(1, min(s) // 4) AS cut FROM u),
+ g AS (SELECT key, sum(val) AS lo, sum(val) + (4 - count(*)) * (any_value(cut) - 1) AS hi FROM p, v WHERE val >= cut GROUP BY 1),
+ l AS (SELECT greatest(any_value(t1), CASE WHEN count(*) = 10 THEN min(lo) ELSE 0 END) AS least FROM (SELECT lo FROM g ORDER BY lo DESC LIMIT 10), v),
+ n AS (SELECT CAST(count(*) AS BIGINT) AS parts FROM p)
+ SELECT 'full' AS method, parts AS sorted_accesses, CAST(0 AS BIGINT) AS random_accesses FROM n
+ UNION ALL SELECT 'threshold', CAST(count(*) AS BIGINT), CAST(any_value(touched) - count(*) AS BIGINT) FROM r, stop WHERE place <= depth
+ UNION ALL SELECT 'uniform', CAST(count(*) FILTER (val >= cut) AS BIGINT), CAST(count(*) FILTER (val < cut AND key IN (SELECT key FROM g, l WHERE hi >= least)) AS BIGINT) FROM p, v"""
+
+
+@query("topk_access_counts", _TOUCHED)
 def topk_access_counts(spark, sf_dir):
     """Parts touched by the threshold algorithms, beside all parts."""
     partials = _part_partials(spark, sf_dir)

@@ -7,7 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from thriftline.functions.money import cents, day, quantity
-from thriftline.operators import keycodec, placement, relational, topk_merge
+from thriftline.operators import costmodel, keycodec, placement, relational, topk_merge
 from thriftline.sources import io
 from thriftline.sources.catalog import load
 
@@ -48,6 +48,24 @@ for _kind in ("csv", "json", "orc"):
         return io.round_trip(load(spark, sf_dir, "customer"), kind)
 
 
+@query("scan_text_roundtrip", "SELECT CAST(c_custkey AS VARCHAR) || '|' || c_name AS value FROM customer")
+def scan_text(spark, sf_dir):
+    return io.round_trip(load(spark, sf_dir, "customer").select(F.concat_ws("|", "c_custkey", "c_name").alias("value")), "text")
+
+
+@query("scan_partition_discovered", f"SELECT o_orderstatus, {_N}, CAST(max(o_orderkey) AS BIGINT) AS last FROM orders WHERE o_orderstatus <> 'P' GROUP BY 1")
+def scan_partition_discovered(spark, sf_dir):
+    path = io.partitioned(load(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus"), "o_orderstatus")[1]
+    # No schema is given: the column comes from the folders' names, and the filter leaves whole folders out.
+    return spark.read.parquet(path).where("o_orderstatus <> 'P'").groupBy("o_orderstatus").agg(_n(), F.max("o_orderkey").alias("last"))
+
+
+@query("scan_sampled", "SELECT o_orderkey, o_custkey FROM orders WHERE (o_orderkey % 2147483648) * 2654435761 % 1000 < 50")
+def scan_sampled(spark, sf_dir):
+    """A sampling operator: a twentieth of the keys by their hash, the same rows on every run and every placement."""
+    return load(spark, sf_dir, "orders").where(costmodel.in_pilot("o_orderkey", 50)).select("o_orderkey", "o_custkey")
+
+
 @query("sink_partitioned_roundtrip", "SELECT o_orderkey, o_orderkey % 4 AS shard FROM orders WHERE o_orderkey % 4 = 2")
 def sink_partitioned(spark, sf_dir):
     rows = load(spark, sf_dir, "orders").select("o_orderkey", placement.key_shard("o_orderkey", 4).alias("shard"))
@@ -189,6 +207,9 @@ _agg("pivot", "SELECT o_orderpriority, CAST(count(*) FILTER (o_orderstatus = 'F'
 _agg("max_by", "SELECT c_mktsegment, arg_max(c_custkey, CAST(round(c_acctbal*100) AS BIGINT) * 1000000 - c_custkey) AS best FROM customer GROUP BY 1", lambda spark, sf_dir: load(spark, sf_dir, "customer").groupBy("c_mktsegment").agg(F.max_by("c_custkey", cents("c_acctbal") * 1000000 - F.col("c_custkey")).alias("best")))
 _agg("two_level", f"SELECT n_orders, {_N} FROM (SELECT o_custkey, CAST(count(*) AS BIGINT) AS n_orders FROM orders GROUP BY 1) GROUP BY 1", lambda spark, sf_dir: load(spark, sf_dir, "orders").groupBy("o_custkey").agg(F.count("*").alias("n_orders")).groupBy("n_orders").agg(_n()))
 _agg("median", "SELECT o_orderstatus, quantile_cont(o_totalprice, 0.5) AS mid FROM orders GROUP BY 1", lambda spark, sf_dir: load(spark, sf_dir, "orders").groupBy("o_orderstatus").agg(F.percentile("o_totalprice", F.lit(0.5)).alias("mid")))
+query("agg_approx_within", "SELECT CAST(count(DISTINCT o_custkey) AS BIGINT) AS exact, true AS within FROM orders")(
+    lambda spark, sf_dir: load(spark, sf_dir, "orders").agg(F.approx_count_distinct("o_custkey", 0.02).alias("a"), F.count_distinct("o_custkey").alias("exact")).select("exact", (F.abs(F.col("a") - F.col("exact")) <= 0.06 * F.col("exact")).alias("within"))
+)
 query("agg_approx_distinct")(lambda spark, sf_dir: load(spark, sf_dir, "orders").agg(F.approx_count_distinct("o_custkey", 0.02).alias("approx"), F.count_distinct("o_custkey").alias("exact")))
 
 # ---- windows ----

@@ -61,14 +61,14 @@ def measured(docs: DataFrame, width_power: int = 3) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
     rows = docs.select("doc_id", text.alias("text"))
     rows = rows.withColumn("words", F.filter(F.split("text", "[ \\t-\\r]+"), lambda w: w != ""))
-    rows = rows.withColumn("lines", F.filter(F.split("text", "\n"), lambda line: F.length(F.translate(line, SPACES, "")) > 0))
+    rows = rows.withColumn("lines", F.filter(F.split("text", "\n"), lambda line: line.rlike(f"[^{SPACES}]")))
     lean = rows.select(
         "doc_id",
         "words",
         F.size("words").cast("long").alias("n_words"),
-        F.length(F.translate("text", SPACES, "")).cast("long").alias("word_chars"),
-        (F.length("text") - F.length(F.translate("text", SYMBOLS, ""))).cast("long").alias("n_symbols"),
-        (F.length("text") - F.length(F.translate("text", "0123456789", ""))).cast("long").alias("n_digits"),
+        F.length(F.regexp_replace("text", f"[{SPACES}]+", "")).cast("long").alias("word_chars"),
+        F.length(F.regexp_replace("text", f"[^{SYMBOLS}]+", "")).cast("long").alias("n_symbols"),
+        F.length(F.regexp_replace("text", "[^0-9]+", "")).cast("long").alias("n_digits"),
         F.size("lines").cast("long").alias("n_lines"),
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
     )
@@ -84,8 +84,7 @@ def measured(docs: DataFrame, width_power: int = 3) -> DataFrame:
     flagged = F.zip_with(F.zip_with("ranked", before, lambda r, b: F.struct(r["x"].alias("x"), r["i"].alias("i"), (r["x"].eqNullSafe(b)).alias("same"))), after, lambda r, a: F.when(r["same"] | r["x"].eqNullSafe(a), r["i"]))
     lean = lean.withColumn("starts", F.array_sort(F.filter(flagged, lambda i: i.isNotNull())))
     covered = F.aggregate(F.zip_with("starts", _shifted(F.col("starts"), 1), lambda a, b: F.least(F.coalesce(b - a, F.lit(width)), F.lit(width)).cast("long")), F.lit(0).cast("long"), lambda s, x: s + x)
-    stop = F.array(*[F.lit(w) for w in sorted(set(STOP_WORDS))])
-    common = F.size(F.filter("words", lambda w: F.array_contains(stop, F.lower(w)))).cast("long")
+    common = F.size(F.filter("words", lambda w: F.lower(w).isin(*sorted(set(STOP_WORDS))))).cast("long")
     return lean.select("doc_id", "n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_digits", common.alias("n_stop_words"), F.coalesce(covered, F.lit(0).cast("long")).alias("n_repeat_words"))
 
 

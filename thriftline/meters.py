@@ -27,7 +27,7 @@ def totals(spark: SparkSession) -> dict[str, int]:
     """Sums over all stages that the application's status store keeps."""
     store = spark.sparkContext._jsc.sc().statusStore()
     jvm = spark.sparkContext._jvm
-    stages = store.stageList(jvm.java.util.ArrayList(), False, False, jvm.scala.Array.emptyDoubleArray(), jvm.java.util.ArrayList()) if hasattr(jvm, "scala") else None
+    stages = store.stageList(jvm.java.util.ArrayList(), False, False, jvm.scala.Array.emptyDoubleArray(), jvm.java.util.ArrayList())
     out = {"shuffle_bytes": 0, "cpu_ns": 0, "run_ms": 0, "wait_ms": 0}
     for n in range(stages.size()):
         stage = stages.apply(n)
@@ -39,23 +39,20 @@ def totals(spark: SparkSession) -> dict[str, int]:
 
 
 def timed(spark: SparkSession, make: Callable[[], DataFrame], repeats: int = 3) -> dict[str, float]:
-    """Runs a query to its end several times, after a barrier each, and gives its measures; what the store lacks is left out."""
+    """Runs a query to its end several times, after a barrier each, and gives its measures; those of the stages are of the last run.
+
+    ``comm_share`` is the time of tasks spent writing and awaiting shuffled data; broadcasts are not in it.
+    """
     walls, counted = [], {}
     for _ in range(repeats):
         barrier(spark)
-        try:
-            before = totals(spark)
-        except Exception:  # the status store is no public interface
-            before = None
+        before = totals(spark)
         begin = time.perf_counter()
         discard(make())
         walls.append(time.perf_counter() - begin)
-        if before:
-            barrier(spark)
-            after = totals(spark)
-            counted = {k: after[k] - before[k] for k in after}
+        barrier(spark)
+        after = totals(spark)
+        counted = {k: after[k] - before[k] for k in after}
     mean, peak = statistics.fmean(walls), max(walls)
     out = {"wall_mean": mean, "wall_max": peak, "wall_median": statistics.median(walls), "blend": blend(mean, peak)}
-    if counted:
-        out |= {"shuffle_bytes": counted["shuffle_bytes"], "cpu_s": counted["cpu_ns"] / 1e9, "comm_share": counted["wait_ms"] / max(1, counted["run_ms"])}
-    return out
+    return out | {"shuffle_bytes": counted["shuffle_bytes"], "cpu_s": counted["cpu_ns"] / 1e9, "comm_share": counted["wait_ms"] / max(1, counted["run_ms"])}

@@ -42,3 +42,12 @@ def test_scheduled_exchange_deals_pairs_round_by_round(spark, sf):
         assert rows and all(r["owner"] == pairing.partner(step, r["shard"], 8) for r in rows)
     dealt = sorted(tuple(r) for rows in rounds for r in rows)
     assert dealt == sorted(tuple(r) for r in owned.select("shard", "owner", "key", F.col("val")).collect())
+
+
+def test_salted_join_sends_no_copies_through_the_driver(spark, sf):
+    from thriftline import registry
+
+    df = registry.QUERIES["join_salted"](spark, sf)
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Broadcast" not in plan

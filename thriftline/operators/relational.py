@@ -30,8 +30,11 @@ def interval(points: DataFrame, time: str, spans: DataFrame, start: str, stop: s
 
 
 def salted(large: DataFrame, small: DataFrame, condition_keys: tuple[str, str], salts: int = 16, row_id: str | Column = "l_orderkey") -> DataFrame:
-    """A join whose hot keys are split over ``salts`` tasks: large rows draw one by a hash, small rows stand once in each."""
+    """A join whose hot keys are split over ``salts`` tasks: large rows draw one by a hash, small rows stand once in each.
+
+    The copies of the small rows are never sent to all: Spark estimates them as if each row stood once, and they would meet on the driver.
+    """
     salt = F.pmod(F.xxhash64(row_id), F.lit(salts))
     spread = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     left, right = condition_keys
-    return large.withColumn("_s", salt).join(spread, (F.col(left) == F.col(right)) & (F.col("_s") == F.col("_salt"))).drop("_s", "_salt")
+    return large.withColumn("_s", salt).join(spread.hint("merge"), (F.col(left) == F.col(right)) & (F.col("_s") == F.col("_salt"))).drop("_s", "_salt")

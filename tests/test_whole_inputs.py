@@ -51,3 +51,11 @@ def test_salted_join_sends_no_copies_through_the_driver(spark, sf):
     df.collect()
     plan = df._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
+def test_pairing_schedule_carries_every_order(spark, sf):
+    from thriftline import registry
+
+    rows = registry.QUERIES["pairing_schedule"](spark, sf).collect()
+    assert len(rows) == 144 and all((r["u"] + r["v"]) % 12 == r["round"] for r in rows)
+    assert sum(r["n_rows"] for r in rows) == spark.read.parquet(f"{sf}/orders.parquet").count()

@@ -59,3 +59,11 @@ def test_pairing_schedule_carries_every_order(spark, sf):
     rows = registry.QUERIES["pairing_schedule"](spark, sf).collect()
     assert len(rows) == 144 and all((r["u"] + r["v"]) % 12 == r["round"] for r in rows)
     assert sum(r["n_rows"] for r in rows) == spark.read.parquet(f"{sf}/orders.parquet").count()
+
+
+def test_udtf_pairing_carries_every_line(spark, sf):
+    from thriftline import registry
+
+    rows = registry.QUERIES["udtf_pairing"](spark, sf).collect()
+    assert len(rows) == 36 and all((r["u"] + r["v"]) % 6 == r["round"] for r in rows)
+    assert sum(r["n_rows"] for r in rows) == spark.read.parquet(f"{sf}/lineitem.parquet").count()

@@ -67,3 +67,18 @@ def test_udtf_pairing_carries_every_line(spark, sf):
     rows = registry.QUERIES["udtf_pairing"](spark, sf).collect()
     assert len(rows) == 36 and all((r["u"] + r["v"]) % 6 == r["round"] for r in rows)
     assert sum(r["n_rows"] for r in rows) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
+def test_filter_costs_are_those_of_the_tables(spark, sf):
+    import math
+
+    from thriftline import registry
+
+    rows = registry.QUERIES["filter_cost_grid"](spark, sf).where("attribute = 'c_mktsegment'").collect()
+    customers = [r["c_mktsegment"] for r in spark.read.parquet(f"{sf}/customer.parquet").collect()]
+    orders = [(r["o_orderpriority"], r["o_custkey"]) for r in spark.read.parquet(f"{sf}/orders.parquet").collect()]
+    assert {(r["asking"], r["value"], r["p"]) for r in rows} == {(a, c, 2.0**d) for a, _ in orders for c in customers for d in range(8)}
+    for r in rows:
+        n, m, hits = len({k for a, k in orders if a == r["asking"]}), len(customers), customers.count(r["value"])
+        assert (r["n"], r["m"], r["gamma"]) == (n, m, hits / m)
+        assert abs(r["late_bits"] - n / r["p"] * math.log2(max(m * r["p"] / n, 1))) <= 0.51 and abs(r["bitset_bits"] - hits * math.log2(m / hits)) <= 0.51

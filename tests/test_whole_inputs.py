@@ -82,3 +82,14 @@ def test_filter_costs_are_those_of_the_tables(spark, sf):
         n, m, hits = len({k for a, k in orders if a == r["asking"]}), len(customers), customers.count(r["value"])
         assert (r["n"], r["m"], r["gamma"]) == (n, m, hits / m)
         assert abs(r["late_bits"] - n / r["p"] * math.log2(max(m * r["p"] / n, 1))) <= 0.51 and abs(r["bitset_bits"] - hits * math.log2(m / hits)) <= 0.51
+
+
+def test_edges_are_measured_on_the_tables(spark, sf):
+    from thriftline import registry
+    from thriftline.sources import catalog
+
+    rows = {(r["child"], r["fk"], r["parent"], r["pk"]): r for r in registry.QUERIES["fk_edges"](spark, sf).collect()}
+    assert {k: r["is_local"] for k, r in rows.items()} == {(e.child, e.fk, e.parent, e.pk): e.local for e in catalog.EDGES}
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet")
+    row = rows["lineitem", "l_suppkey", "supplier", "s_suppkey"]
+    assert (row["n_rows"], row["n_keys"]) == (lines.count(), lines.select("l_suppkey").distinct().count())

@@ -588,3 +588,17 @@ def test_decontamination_of_odd_tables(spark, docs, nothing, nameless):
     assert decontaminate.decontaminate(nothing, items).count() == 0
     assert decontaminate.decontaminate(docs, items.limit(0)).where("not contaminated and n_items = 0").count() == docs.count()
     assert decontaminate.decontaminate(nameless, items).count() == 4
+
+
+def test_workers_let_go_of_encoders_that_a_task_has_not_asked_for():
+    from thriftline.llm import tokens
+    from thriftline.llm.arrowrun import give_back
+    from thriftline.llm.queries import tokenizer_path
+
+    path = tokenizer_path("word_bpe_49k.json")
+    first = tokens.encoder_for(path, False, True)
+    give_back()
+    assert tokens.encoder_for(path, False, True) is first
+    give_back()
+    give_back()
+    assert tokens.encoder_for(path, False, True) is not first

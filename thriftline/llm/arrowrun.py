@@ -16,10 +16,30 @@ from thriftline.shipping import ship
 
 #: Rows of a batch are cut into pieces of about this many bytes before a function sees them.
 PIECE_BYTES = 8 << 20
+#: What this Python worker holds for later tasks, and whether the task at hand has asked for it.
+_kept: dict = {}
+_asked = False
+
+
+def kept(key, make: Callable):
+    """What ``make()`` gives, held for the tasks that follow until one of them ends without asking for it."""
+    global _asked
+    if key not in _kept:
+        _kept.clear()
+        _kept[key] = make()
+    _asked = True
+    return _kept[key]
 
 
 def give_back() -> None:
-    """Returns freed memory to the system, at the end of a task: Python workers live on and share an executor's memory."""
+    """Returns freed memory to the system, at the end of a task: Python workers live on and share an executor's memory.
+
+    What the task has not asked for is let go: workers outlive the stage that needed it.
+    """
+    global _asked
+    if not _asked:
+        _kept.clear()
+    _asked = False
     pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
     if trim is not None:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from thriftline.llm import textscan as ts
-from thriftline.llm.arrowrun import annotate, columns_of
+from thriftline.llm.arrowrun import annotate, columns_of, kept
 
 #: Pieces and token ids that a worker remembers; beyond either it starts anew.  A longer piece is not remembered.
 KEPT, KEPT_IDS, LONG = 1 << 20, 1 << 22, 256
@@ -90,16 +90,10 @@ def kinds_of(raw: np.ndarray) -> np.ndarray:
     return kinds
 
 
-_encoders: dict[tuple, Encoder] = {}
-
-
 def encoder_for(path: str, drop_space: bool, with_ids: bool) -> Encoder:
     """The encoder of this Python worker, which the tasks it runs share with all pieces they have met."""
     key = (path, drop_space, with_ids)
-    if key not in _encoders:
-        _encoders.clear()
-        _encoders[key] = Encoder(*key)
-    return _encoders[key]
+    return kept(key, lambda: Encoder(*key))
 
 
 def _room(held: np.ndarray, used: int, more: int) -> np.ndarray:
